@@ -1,6 +1,10 @@
 """Registered queries of this subpackage and their SQL."""
 
 from veilmatch.llm.chat import OP10_SQL, op10_chat_formatting
+from veilmatch.llm.simhash import op7_simhash_near_dedup
 
-QUERIES = {"op10_chat_formatting": op10_chat_formatting}
+QUERIES = {
+    "op7_simhash_near_dedup": op7_simhash_near_dedup,
+    "op10_chat_formatting": op10_chat_formatting,
+}
 SQL = {"op10_chat_formatting": OP10_SQL}
