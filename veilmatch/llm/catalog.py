@@ -1,10 +1,12 @@
 """Registered queries of this subpackage and their SQL."""
 
 from veilmatch.llm.chat import OP10_SQL, op10_chat_formatting
+from veilmatch.llm.packing import op9_best_fit_packing
 from veilmatch.llm.simhash import op7_simhash_near_dedup
 
 QUERIES = {
     "op7_simhash_near_dedup": op7_simhash_near_dedup,
+    "op9_best_fit_packing": op9_best_fit_packing,
     "op10_chat_formatting": op10_chat_formatting,
 }
 SQL = {"op10_chat_formatting": OP10_SQL}

@@ -23,6 +23,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from veilmatch.llm.common import durable, table
 from veilmatch.llm.components import components
@@ -76,7 +77,7 @@ def fingerprints_of(texts: list[str | None], words: int = 3, seed: int = 42) ->
 
 def fingerprint_column(docs: DataFrame, text: str = "text", words: int = 3) -> DataFrame:
     """The given columns and ``fingerprint`` (signed 64 bits)."""
-    schema = docs.drop("fingerprint").schema
+    schema = T.StructType([*docs.drop("fingerprint").schema.fields])
     name = text
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -87,7 +88,7 @@ def fingerprint_column(docs: DataFrame, text: str = "text", words: int = 3) -> D
                 prints = fingerprints_of(part.column(at).to_pylist(), words)
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(prints.view(np.int64))], names=[*part.schema.names, "fingerprint"])
 
-    return docs.drop("fingerprint").mapInArrow(run, schema.add("fingerprint", "long", False))
+    return docs.drop("fingerprint").mapInArrow(run, schema.add("fingerprint", T.LongType(), False))
 
 
 def index_key(fingerprint: Column, place: Column) -> Column:
