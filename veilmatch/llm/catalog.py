@@ -1,12 +1,16 @@
 """Registered queries of this subpackage and their SQL."""
 
+from veilmatch.llm.bitsliced import OP2_SQL, op2_exact_top_k
 from veilmatch.llm.chat import OP10_SQL, op10_chat_formatting
 from veilmatch.llm.packing import op9_best_fit_packing
+from veilmatch.llm.secrets import op4_secret_scan
 from veilmatch.llm.simhash import op7_simhash_near_dedup
 
 QUERIES = {
+    "op2_exact_top_k": op2_exact_top_k,
+    "op4_secret_scan": op4_secret_scan,
     "op7_simhash_near_dedup": op7_simhash_near_dedup,
     "op9_best_fit_packing": op9_best_fit_packing,
     "op10_chat_formatting": op10_chat_formatting,
 }
-SQL = {"op10_chat_formatting": OP10_SQL}
+SQL = {"op2_exact_top_k": OP2_SQL, "op10_chat_formatting": OP10_SQL}
