@@ -2,13 +2,17 @@
 
 from veilmatch.llm.bitsliced import OP2_SQL, op2_exact_top_k
 from veilmatch.llm.chat import OP10_SQL, op10_chat_formatting
+from veilmatch.llm.language import op5_language_id
+from veilmatch.llm.licenses import op1_license_scan
 from veilmatch.llm.packing import op9_best_fit_packing
 from veilmatch.llm.secrets import op4_secret_scan
 from veilmatch.llm.simhash import op7_simhash_near_dedup
 
 QUERIES = {
+    "op1_license_scan": op1_license_scan,
     "op2_exact_top_k": op2_exact_top_k,
     "op4_secret_scan": op4_secret_scan,
+    "op5_language_id": op5_language_id,
     "op7_simhash_near_dedup": op7_simhash_near_dedup,
     "op9_best_fit_packing": op9_best_fit_packing,
     "op10_chat_formatting": op10_chat_formatting,
