@@ -2,6 +2,7 @@
 
 from veilmatch.llm.bitsliced import OP2_SQL, op2_exact_top_k
 from veilmatch.llm.chat import OP10_SQL, op10_chat_formatting
+from veilmatch.llm.contamination import op8_decontamination
 from veilmatch.llm.language import op5_language_id
 from veilmatch.llm.licenses import op1_license_scan
 from veilmatch.llm.packing import op9_best_fit_packing
@@ -18,6 +19,7 @@ QUERIES = {
     "op5_language_id": op5_language_id,
     "op6_suffix_dedup": op6_suffix_dedup,
     "op7_simhash_near_dedup": op7_simhash_near_dedup,
+    "op8_decontamination": op8_decontamination,
     "op9_best_fit_packing": op9_best_fit_packing,
     "op10_chat_formatting": op10_chat_formatting,
 }
