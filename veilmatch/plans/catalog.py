@@ -1,4 +1,29 @@
 """Registered queries of the linkage engine and their SQL."""
 
+from __future__ import annotations
+
+from veilmatch.operators.registry import ATTRIBUTES, Registry, duck_views
+
+VIEWS = duck_views()
 QUERIES: dict = {}
-SQL: dict = {}
+SQL: dict[str, str] = {}
+
+
+def over_registry(body: str) -> str:
+    """DuckDB SQL over the derived registry."""
+    return f"with {VIEWS} {body}"
+
+
+_FIELDS = ", ".join(ATTRIBUTES)
+QUERIES["name_frequency"] = lambda spark, d: Registry.of(spark, d).words
+SQL["name_frequency"] = over_registry("select * from word_counts")
+QUERIES["registry_original"] = lambda spark, d: Registry.of(spark, d).person
+SQL["registry_original"] = over_registry("select * from person")
+QUERIES["registry_corrupted"] = lambda spark, d: Registry.of(spark, d).copy("l")
+SQL["registry_corrupted"] = over_registry("select * from copy_left")
+QUERIES["registry_left"] = lambda spark, d: Registry.of(spark, d).left
+SQL["registry_left"] = over_registry(f"select rec_id, owner, {_FIELDS} from registry_left_")
+QUERIES["registry_right"] = lambda spark, d: Registry.of(spark, d).right
+SQL["registry_right"] = over_registry(f"select rec_id, owner, {_FIELDS} from registry_right_")
+QUERIES["truth_pairs"] = lambda spark, d: Registry.of(spark, d).truth
+SQL["truth_pairs"] = over_registry("select * from truth_")
