@@ -49,16 +49,24 @@ TEMPLATES = (
     ("epl", "made available under the terms of the eclipse public license", "eclipse public license"),
 )
 RAREST = 8  # index words of a document that are looked up
+# Function words say little: they are in the index only where they follow another index word.
+COMMON = frozenset("a and any as at by can copy for from in is it of on or the this to under with without you".split())
+
+
+def indexed(sentence: str) -> list[int]:
+    """Positions of a sentence's words that the index has."""
+    words = sentence.split()
+    return [i for i, w in enumerate(words) if w not in COMMON or i and words[i - 1] not in COMMON]
 
 
 def vocabulary() -> list[str]:
-    return sorted({w for _, sentence, _ in TEMPLATES for w in sentence.split()} | {w for p, _ in BASE for w in p.split()})
+    return sorted({w for sentence in [t[1] for t in TEMPLATES] + [p for p, _ in BASE] for w in sentence.split()})
 
 
 def key_positions(sentence: str, phrase: str) -> list[int]:
     s, p = sentence.split(), phrase.split()
     at = next(i for i in range(len(s)) if s[i : i + len(p)] == p)
-    return list(range(at, at + len(p)))
+    return [i for i in indexed(sentence) if at <= i < at + len(p)]
 
 
 def words_of(text: Column) -> Column:
@@ -69,7 +77,10 @@ def index_words(docs: DataFrame, doc: str = "doc_id", text: str = "text") -> Dat
     """(rid, doc_id, n_words, hits): hits are array<struct<pos, word>> of index words in text order, written durably."""
     plain = docs.select(F.col(doc).cast("long").alias("doc_id"), words_of(F.coalesce(F.col(text).cast("string"), F.lit(""))).alias("words"))
     known = vocabulary()
-    hits = F.filter(F.transform("words", lambda w, i: F.when(w.isin(known), F.struct(i.cast("long").alias("pos"), w.alias("word")))), lambda x: x.isNotNull())
+    rare, common = [w for w in known if w not in COMMON], [w for w in known if w in COMMON]
+    behind = lambda i: F.coalesce(F.get("words", i - 1).isin(rare), F.lit(False))
+    taken = lambda w, i: F.when(w.isin(rare) | (w.isin(common) & behind(i)), F.struct(i.cast("long").alias("pos"), w.alias("word")))
+    hits = F.filter(F.transform("words", taken), lambda x: x.isNotNull())
     return durable(plain.select(F.monotonically_increasing_id().alias("rid"), "doc_id", F.size("words").cast("long").alias("n_words"), hits.alias("hits")))
 
 
@@ -90,26 +101,26 @@ def phrase_starts(hits: Column, phrase: str) -> Column:
 def alignments(facts: DataFrame, documents: int) -> DataFrame:
     """(rid, labels, score): verified alignments of each document that has any."""
     spark = facts.sparkSession
-    hit = facts.select("rid", F.explode("hits").alias("h")).select("rid", "h.pos", "h.word")
     # Documents that hold each word: at most as many rows as the index has words.
     df = facts.select(F.explode(F.array_distinct("hits.word")).alias("word")).groupBy("word").agg(F.count("*").alias("df"))
-    held = {r["word"]: r["df"] for r in df.collect()}
-    idf = {w: math.log((documents + 1) / (held.get(w, 0) + 1)) + 1e-3 for w in vocabulary()}
+    counts = {r["word"]: r["df"] for r in df.collect()}
+    idf = {w: math.log((documents + 1) / (counts.get(w, 0) + 1)) + 1e-3 for w in vocabulary()}
     postings = [
-        (w, t, p, idf[w], p in key, len(key), sum(idf[x] for x in sentence.split()))
+        (w, t, p, idf[w], p in key, len(key), sum(idf[sentence.split()[x]] for x in indexed(sentence)))
         for t, (_, sentence, phrase) in enumerate(TEMPLATES)
         for key in [key_positions(sentence, phrase)]
         for p, w in enumerate(sentence.split())
+        if p in indexed(sentence)
     ]
     index = spark.createDataFrame(postings, "word string, template int, tpos int, idf double, is_key boolean, n_key int, weight double")
     weights = F.create_map(*[x for w, v in idf.items() for x in (F.lit(w), F.lit(v))])
     ranked = F.slice(F.array_sort(F.transform(F.array_distinct("hits.word"), lambda w: F.struct((-weights[w]).alias("k"), w.alias("w")))), 1, RAREST)
-    rare = facts.where(F.size("hits") > 0).select("rid", ranked["w"].alias("rare"))
+    held = facts.where(F.size("hits") > 0).withColumn("rare", ranked["w"])
+    hit = held.select("rid", "rare", F.explode("hits").alias("h")).select("rid", "h.pos", "h.word", F.array_contains("rare", F.col("h.word")).alias("chosen"))
     # Rare words choose (template, place); then every index word of the text counts there.
-    posted = hit.join(F.broadcast(index), "word").withColumn("place", F.col("pos") - F.col("tpos"))
-    looked = posted.join(rare, "rid")
+    looked = hit.join(F.broadcast(index), "word").withColumn("place", F.col("pos") - F.col("tpos"))
     found = looked.groupBy("rid", "template", "place").agg(
-        F.max(F.array_contains("rare", F.col("word"))).alias("chosen"),
+        F.max("chosen").alias("chosen"),
         F.sum(F.col("is_key").cast("int")).alias("keys"),
         F.max("n_key").alias("n_key"),
         (F.sum("idf") / F.max("weight")).alias("share"),
