@@ -27,3 +27,118 @@ QUERIES["registry_right"] = lambda spark, d: Registry.of(spark, d).right
 SQL["registry_right"] = over_registry(f"select rec_id, owner, {_FIELDS} from registry_right_")
 QUERIES["truth_pairs"] = lambda spark, d: Registry.of(spark, d).truth
 SQL["truth_pairs"] = over_registry("select * from truth_")
+
+from pyspark.sql import functions as F  # noqa: E402
+
+from veilmatch.operators import match, quality, score  # noqa: E402
+from veilmatch.plans import oracle as O  # noqa: E402
+
+_KEPT: dict[tuple, object] = {}
+TAU = 7000
+
+
+def kept(spark, d, name, build):
+    """A frame that several queries read, made once for a folder and held by Spark's cache."""
+    key = (id(spark.sparkContext), d, name)
+    if key not in _KEPT:
+        for old in [k for k in _KEPT if k[:2] != key[:2]]:
+            del _KEPT[old]
+        _KEPT[key] = build().persist()
+    return _KEPT[key]
+
+
+def ex(spark, d):
+    return kept(spark, d, "ex", lambda: score.encode(Registry.of(spark, d).left))
+
+
+def ey(spark, d):
+    return kept(spark, d, "ey", lambda: score.encode(Registry.of(spark, d).right))
+
+
+def truth(spark, d):
+    return Registry.of(spark, d).truth
+
+
+def bp(spark, d):
+    return kept(spark, d, "bp", lambda: match.best_partners(ex(spark, d), ey(spark, d)))
+
+
+def add(name, build, sql=None):
+    QUERIES[name] = build
+    if sql:
+        SQL[name] = sql
+
+
+_BASE = (O.SCORES, O.BEST)
+_JUDGED = (*_BASE, O.JUDGED)
+add("pair_scores", lambda s, d: match.scored(match.pairs(ex(s, d).where("rec_id < 10000020"), ey(s, d))), O.query("select * from sc", ("sc", O.scores("ex", "ey", where="x.rec_id < 10000020"))))
+add("best_partner", lambda s, d: bp(s, d), O.query("select * from bp", *_BASE))
+add("best_partner_grid", lambda s, d: match.best_partners(ex(s, d), ey(s, d), grid=(3, 4)), O.query("select * from bp", *_BASE))
+add("best_partner_window", lambda s, d: match.best_window(match.scored(match.pairs(ex(s, d), ey(s, d)))).drop("rank"), O.query("select x_id, y_id, num, den from bp", *_BASE))
+add("top3_partners", lambda s, d: match.best_window(match.scored(match.pairs(ex(s, d), ey(s, d))), 3), O.query(O.best("sc", 3), O.SCORES))
+add("accepted_links", lambda s, d: match.accept(bp(s, d), TAU).where("accepted").select("x_id", "y_id", "score_ppm"), O.query(f"select x_id, y_id, score_ppm from bp where num * 10000 > den * {TAU}", *_BASE))
+add("accepted_links_non_strict", lambda s, d: match.accept(bp(s, d), 10000, False).where("accepted").select("x_id", "y_id"), O.query("select x_id, y_id from bp where num >= den", *_BASE))
+add("link_all", lambda s, d: match.accept(bp(s, d), TAU), O.query(f"select x_id, case when num * 10000 > den * {TAU} then y_id end as y_id, num, den, score_ppm, num * 10000 > den * {TAU} as accepted from bp", *_BASE))
+add("lossless_cover_links", lambda s, d: match.lossless_links(ex(s, d), ey(s, d), TAU).select("x_id", "y_id", "score_ppm"), SQL["accepted_links"])
+add("error_sweep", lambda s, d: quality.sweep(bp(s, d), truth(s, d)), O.query(O.SWEEP.replace("{taus}", str(list(quality.TAUS))), *_JUDGED))
+add("error_curve_fine", lambda s, d: quality.sweep(bp(s, d), truth(s, d), tuple(range(5000, 9000, 100))), O.query(O.SWEEP.replace("{taus}", "range(5000, 9000, 100)"), *_JUDGED))
+add("error_counts", lambda s, d: quality.sweep(bp(s, d), truth(s, d), (TAU,)), O.query(O.SWEEP.replace("{taus}", f"[{TAU}]"), *_JUDGED))
+add(
+    "best_threshold",
+    lambda s, d: quality.best_threshold(bp(s, d), truth(s, d)),
+    O.query(
+        "select t.tau_bp, (select count(*) from jd where not is_true and score_ppm // 100 > t.tau_bp)::bigint as fp, (select count(*) from jd where has_partner and score_ppm // 100 <= t.tau_bp)::bigint as fn, fp + fn as total from (select distinct (score_ppm // 100)::int as tau_bp from jd) t order by total, tau_bp limit 1",
+        *_JUDGED,
+    ),
+)
+add("roc_auc", lambda s, d: quality.auc(bp(s, d), truth(s, d)), O.query("select round(sum(case when p.score_ppm > n.score_ppm then 1.0 when p.score_ppm = n.score_ppm then 0.5 else 0 end) / count(*), 6)::double as auc, count(distinct p.x_id)::bigint as positives, count(distinct n.x_id)::bigint as negatives from jd p, jd n where p.is_true and not n.is_true", *_JUDGED))
+add("roc_points", lambda s, d: quality.roc(bp(s, d), truth(s, d)), O.query("select s.ppm, (select count(*) from jd where is_true and score_ppm >= s.ppm)::bigint as tp, (select count(*) from jd where not is_true and score_ppm >= s.ppm)::bigint as fp from (select distinct score_ppm as ppm from jd) s", *_JUDGED))
+add("precision_recall", lambda s, d: quality.precision_recall(quality.sweep(bp(s, d), truth(s, d))), O.query(f"select tau_bp, round(tp / (tp + fp), 6) as precision, round(tp / (tp + fn), 6) as recall, round(2 * tp / (2 * tp + fp + fn), 6) as f1 from ({O.SWEEP.replace('{taus}', str(list(quality.TAUS)))})", *_JUDGED))
+
+from veilmatch.operators import baselines, bloom  # noqa: E402
+
+_BITS = f"list_sort(list_distinct(flatten(list_transform({{c}}, lambda p: list_transform(range({bloom.HASHES}), lambda i: ((('0x' || substr(md5(p::varchar), 1, 8))::bigint + i * ('0x' || substr(md5(p::varchar), 9, 8))::bigint) % {bloom.BITS})::int)))))"
+_BLOOM = (
+    ("bx", f"select * exclude (np, cp), {_BITS.format(c='np')} as np, {_BITS.format(c='cp')} as cp from ex"),
+    ("by_", f"select * exclude (np, cp), {_BITS.format(c='np')} as np, {_BITS.format(c='cp')} as cp from ey"),
+    ("sc", O.scores("bx", "by_")),
+    ("bp", "select x_id, y_id, num, 1000000 as den, num as score_ppm from (select *, row_number() over (partition by x_id order by num desc, y_id) as rank from (select x_id, y_id, (num * 1000000) // den as num from sc)) where rank = 1"),
+)
+
+
+def bloom_bp(s, d):
+    return kept(s, d, "bloom", lambda: bloom.best_partners(ex(s, d), ey(s, d)))
+
+
+add("bloom_bits", lambda s, d: ex(s, d).select("rec_id", F.size(bloom.filter_positions(F.coalesce("name_pos", F.array().cast("array<int>")))).alias("bits")), O.query(f"select rec_id, len({_BITS.format(c='np')})::int as bits from ex"))
+add("bloom_best_partner", lambda s, d: bloom_bp(s, d), O.query("select x_id, y_id, num, den::bigint as den from bp", *_BLOOM))
+add("bloom_error_sweep", lambda s, d: quality.sweep(bloom_bp(s, d), truth(s, d)), O.query(O.SWEEP.replace("{taus}", str(list(quality.TAUS))), *_BLOOM, O.JUDGED))
+add("bloom_roc_auc", lambda s, d: quality.auc(bloom_bp(s, d), truth(s, d)), O.query(SQL["roc_auc"][SQL["roc_auc"].rindex("select round(sum(case"):], *_BLOOM, O.JUDGED))
+add("bloom_exposure", lambda s, d: bloom.exposure(ex(s, d)), O.query(f"select same, count(*) as filters from (select count(*) as same from (select {_BITS.format(c='np')} as f, nd from ex) where nd > 0 group by f) group by same"))
+add("deterministic_links", lambda s, d: baselines.deterministic(Registry.of(s, d).left, Registry.of(s, d).right, ("last_name", "birth_year", "birth_month", "birth_day")), over_registry("select l.rec_id as x_id, r.rec_id as y_id from registry_left_ l join registry_right_ r on l.last_name = r.last_name and l.birth_year = r.birth_year and l.birth_month = r.birth_month and l.birth_day = r.birth_day"))
+_AGREE = "select x.rec_id as x_id, y.rec_id as y_id, " + ", ".join(
+    [f"(2 * len(list_intersect(x.{p}, y.{p})) * 1000000 >= (greatest(len(x.{p}), 1) + greatest(len(y.{p}), 1)) * 800000)::int as {f}" for f, p in (("name", "np"), ("city", "cp"))] + [f"coalesce((x.{f} = y.{f})::int, 0) as {f}" for f in score.CODES]
+) + " from ex x, ey y"
+add("agreement_patterns", lambda s, d: baselines.patterns(ex(s, d), ey(s, d)), O.query(f"select {', '.join(baselines.FIELDS)}, count(*) as n from ag group by all", ("ag", _AGREE)))
+_MU = {"name": (0.8, 0.01), "city": (0.9, 0.02), "postcode": (0.9, 0.01), "birth_year": (0.9, 0.02), "birth_month": (0.9, 0.083), "birth_day": (0.9, 0.036)}
+import math  # noqa: E402
+
+_FS = " + ".join(f"case when {f} = 1 then {round(1000 * math.log2(m / u))} else {round(1000 * math.log2((1 - m) / (1 - u)))} end" for f, (m, u) in _MU.items())
+add("fs_three_way", lambda s, d: baselines.fellegi(ex(s, d), ey(s, d), _MU, 0.0, 10.0).groupBy("decision").agg(F.count("*").alias("pairs"), F.max("weight").alias("top")), O.query(f"select decision, count(*) as pairs, max(weight)::bigint as top from (select weight, case when weight >= 10000 then 'link' when weight >= 0 then 'review' else 'no' end as decision from (select {_FS} as weight from ag)) group by 1", ("ag", _AGREE)))
+add("fs_scores", lambda s, d: baselines.fellegi(ex(s, d), ey(s, d), _MU, 0.0, 10.0).where("weight >= 10000").select("x_id", "y_id", "weight"), O.query(f"select x_id, y_id, weight::bigint as weight from (select x_id, y_id, {_FS} as weight from ag) where weight >= 10000", ("ag", _AGREE)))
+
+
+def _em(s, d):
+    rows = [r.asDict() for r in baselines.patterns(ex(s, d), ey(s, d)).collect()]
+    return s.createDataFrame([(f, round(m, 6), round(u, 6)) for f, (m, u) in baselines.em(rows).items()], "field string, m double, u double")
+
+
+add("weights_em", _em)
+for _kind in ("svm", "mlp", "forest", "boosted", "bayes"):
+    add(f"ml_{_kind}", lambda s, d, k=_kind: baselines.learned(ex(s, d), ey(s, d), truth(s, d), k))
+_UNPIVOT = " union all ".join(f"select '{c}' as field, x.{c}::varchar as x, y.{c}::varchar as y from truth_ t join registry_left_ x on x.rec_id = t.x_id join registry_right_ y on y.rec_id = t.y_id" for c in ATTRIBUTES)
+_ERRORS = f"select field, count(*) as n, sum((x <> y)::int)::bigint as differ from ({_UNPIVOT}) where x is not null and y is not null group by field"
+_FREQ = "select field, count(*) as distinct_values, round(sum(n::double * n) / (sum(n) * sum(n)), 6) as collision from (select field, v, count(*) as n from (" + " union all ".join(f"select '{c}' as field, {c}::varchar as v from registry_left_" for c in ATTRIBUTES) + ") where v is not null group by all) group by field"
+add("field_error_rates", lambda s, d: baselines.field_error_rates(Registry.of(s, d).left, Registry.of(s, d).right, truth(s, d)), over_registry(_ERRORS))
+add("weights_collision", lambda s, d: baselines.value_frequencies(Registry.of(s, d).left), over_registry(_FREQ))
+add("weights_frequency", lambda s, d: baselines.frequency_weights(baselines.value_frequencies(Registry.of(s, d).left), baselines.field_error_rates(Registry.of(s, d).left, Registry.of(s, d).right, truth(s, d))).drop("scaled"), over_registry(f"select f.field, round(log2((1 - least(greatest(differ / n, 0.001), 0.999)) * distinct_values), 6) as weight from ({_FREQ}) f join ({_ERRORS}) e on f.field = e.field"))
