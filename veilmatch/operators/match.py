@@ -136,26 +136,27 @@ def lossless_links(x: DataFrame, y: DataFrame, tau_bp: int, weights: dict[str, i
         return df.withColumn("_mask", mask)
 
     a, b = with_pattern(x), with_pattern(y)
-    masks = {(r[0], r[1]) for r in a.select("_mask").distinct().crossJoin(b.select(F.col("_mask").alias("m"))).distinct().collect()}  # at most 256 rows
-    joins: dict[tuple[str, ...], list[tuple[int, int]]] = {}
+    masks = {(r[0], r[1]) for r in a.select("_mask").distinct().crossJoin(b.select(F.col("_mask").alias("m")).distinct()).collect()}  # at most 256 rows
+    needed: set[tuple[str, ...]] = set()
+    free = []
     for p, q in masks:
         pattern = tuple(f for i, f in enumerate(codes) if (p & q) >> i & 1)
-        for s in required_sets(weights, tau_bp, pattern, best_text):
-            joins.setdefault(s, []).append((p, q))
+        sets = required_sets(weights, tau_bp, pattern, best_text)
+        needed |= {s for s in sets if s}
+        if () in sets:
+            free.append((p, q))
+    # A join on fewer fields holds all that one on more fields finds; the score is checked on what is found.
+    least = [s for s in needed if not any(set(t) < set(s) for t in needed)]
     ids = []
-    for s, which in sorted(joins.items()):
-        left = a.select(F.col("rec_id").alias("x_id"), F.col("_mask").alias("_p"), *[F.col(f).alias(f"_{f}") for f in s])
-        right = b.select(F.col("rec_id").alias("y_id"), F.col("_mask").alias("_q"), *[F.col(f).alias(f"_{f}") for f in s])
-        left = left.where(F.col("_p").isin(sorted({p for p, _ in which})))
-        right = right.where(F.col("_q").isin(sorted({q for _, q in which})))
-        keys = [f"_{f}" for f in s]
-        if keys:
-            met = left.join(right, keys)
-        else:
-            left = left.withColumn("_r", F.pmod(F.xxhash64("x_id"), F.lit(8))).withColumn("_c", F.explode(F.sequence(F.lit(0), F.lit(7))))
-            met = left.join(right.withColumn("_c", F.pmod(F.xxhash64("y_id"), F.lit(8))).withColumn("_r", F.explode(F.sequence(F.lit(0), F.lit(7)))), ["_r", "_c"])
-        allowed = F.struct("_p", "_q").isin([F.struct(F.lit(p), F.lit(q)) for p, q in which]) if len(which) < 40 else F.lit(True)
-        ids.append(met.where(allowed).select("x_id", "y_id"))
+    for s in sorted(least):
+        left = a.select(F.col("rec_id").alias("x_id"), *s)
+        ids.append(left.join(b.select(F.col("rec_id").alias("y_id"), *s), list(s)).select("x_id", "y_id"))
+    for p in sorted({p for p, _ in free}):
+        left = a.where(F.col("_mask") == p).select(F.col("rec_id").alias("x_id"), F.pmod(F.xxhash64("rec_id"), F.lit(8)).alias("_r"), F.explode(F.sequence(F.lit(0), F.lit(7))).alias("_c"))
+        right = b.where(F.col("_mask").isin([q for o, q in free if o == p])).select(F.col("rec_id").alias("y_id"), F.pmod(F.xxhash64("rec_id"), F.lit(8)).cast("int").alias("_c"), F.explode(F.sequence(F.lit(0), F.lit(7))).alias("_r"))
+        ids.append(left.join(right, ["_r", "_c"]).select("x_id", "y_id"))
+    if not ids:
+        return best_partners(x, y, weights=weights, rule=rule).where("false")
     candidates = reduce(DataFrame.unionAll, ids).distinct()
     found = rescored(candidates, x, y, weights=weights, rule=rule).where(above(F.col("num"), F.col("den"), tau_bp))
     top = rescored(best(found), x, y, weights=weights, rule=rule)

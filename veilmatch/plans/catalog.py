@@ -142,3 +142,111 @@ _FREQ = "select field, count(*) as distinct_values, round(sum(n::double * n) / (
 add("field_error_rates", lambda s, d: baselines.field_error_rates(Registry.of(s, d).left, Registry.of(s, d).right, truth(s, d)), over_registry(_ERRORS))
 add("weights_collision", lambda s, d: baselines.value_frequencies(Registry.of(s, d).left), over_registry(_FREQ))
 add("weights_frequency", lambda s, d: baselines.frequency_weights(baselines.value_frequencies(Registry.of(s, d).left), baselines.field_error_rates(Registry.of(s, d).left, Registry.of(s, d).right, truth(s, d))).drop("scaled"), over_registry(f"select f.field, round(log2((1 - least(greatest(differ / n, 0.001), 0.999)) * distinct_values), 6) as weight from ({_FREQ}) f join ({_ERRORS}) e on f.field = e.field"))
+
+from veilmatch.functions import fields, text  # noqa: E402
+from veilmatch.operators import cost, secure  # noqa: E402
+from veilmatch.sources.tables import table  # noqa: E402
+from veilmatch.streaming import arrivals  # noqa: E402
+
+# Encoding, on native tables.
+_P = "(select p_partkey, p_name, p_brand, p_size from part)"
+_PART = f"select p_partkey, {O.positions('nm')} as pos, {O.positions('nm', 3)} as pos3, p_name, p_brand, p_size from (select *, {O.normal('p_name')} as nm from {_P})"
+
+
+def part(s, d):
+    return table(s, d, "part").select("p_partkey", "p_name", "p_brand", "p_size", text.positions(text.normalise(F.col("p_name"))).alias("pos"))
+
+
+add("normalise_titles", lambda s, d: table(s, d, "pages").select("page_id", text.normalise(F.regexp_extract("html", "<title>([^<]*)", 1)).alias("title")), f"select page_id, {O.normal('''regexp_extract(html, '<title>([^<]*)', 1)''')} as title from pages")
+add("normalise_accents", lambda s, d: table(s, d, "documents").where("lang <> 'en'").select("doc_id", F.md5(text.normalise(F.substring("text", 1, 500))).alias("digest")), f"select doc_id, md5({O.normal('substr(text, 1, 500)')}) as digest from documents where lang <> 'en'")
+add("bigram_positions_part", lambda s, d: part(s, d).select("p_partkey", F.array_join("pos", ",").alias("pos")), f"select p_partkey, array_to_string(pos, ',') as pos from ({_PART})")
+add("bigram_cardinality", lambda s, d: part(s, d).select("p_partkey", F.size("pos").alias("n")), f"select p_partkey, len(pos)::int as n from ({_PART})")
+add("qgram3_positions", lambda s, d: part(s, d).select("p_partkey", F.array_join(text.positions(text.normalise(F.col("p_name")), 3), ",").alias("pos")), f"select p_partkey, array_to_string(pos3, ',') as pos from ({_PART})")
+add("bigram_packed_words", lambda s, d: part(s, d).select("p_partkey", F.aggregate(text.pack(F.col("pos")), F.lit(0), lambda a, w: a + F.bit_count(w)).alias("ones"), F.bit_count(text.pack(F.col("pos"))[3]).alias("ones3")), f"select p_partkey, len(pos)::int as ones, len(list_filter(pos, lambda p: p // 64 = 3))::int as ones3 from ({_PART})")
+add("bigram_dense", lambda s, d: part(s, d).select("p_partkey", F.aggregate(text.dense(F.col("pos")), F.lit(0), lambda a, w: a + w).alias("ones")), f"select p_partkey, len(pos)::int as ones from ({_PART})")
+add("combined_name", lambda s, d: Registry.of(s, d).left.select("rec_id", score.combined_name().alias("name")), over_registry(f"select rec_id, case when coalesce(first_name, birth_name, last_name) is not null then concat({O.normal('first_name')}, {O.normal('birth_name')}, {O.normal('last_name')}) end as name from registry_left_"))
+add("bigram_frequency", lambda s, d: part(s, d).select(F.explode("pos").alias("p")).groupBy("p").agg(F.count("*").alias("n")), f"select p, count(*) as n from (select unnest(pos) as p from ({_PART})) group by p")
+
+
+def part_pairs(s, d):
+    a, b = part(s, d).where("p_partkey % 50 = 0"), part(s, d).where("p_partkey % 50 = 1")
+    return a.select([F.col(c).alias(f"a_{c}") for c in a.columns]).join(b.select([F.col(c).alias(f"b_{c}") for c in b.columns]), F.col("a_p_brand") == F.col("b_p_brand"))
+
+
+_PAIRS = f"(select a.p_partkey as a_id, b.p_partkey as b_id, a.pos as a, b.pos as b, a.p_name as an, b.p_name as bn, a.p_size as az, b.p_size as bz from ({_PART}) a join ({_PART}) b on a.p_brand = b.p_brand where a.p_partkey % 50 = 0 and b.p_partkey % 50 = 1)"
+
+
+def _ids():
+    return F.col("a_p_partkey").alias("a_id"), F.col("b_p_partkey").alias("b_id")
+
+
+for _name, _fraction, _num, _den in (
+    ("dice", fields.dice_fraction, "2 * len(list_intersect(a, b))", "greatest(len(a) + len(b), 1)"),
+    ("jaccard", fields.jaccard_fraction, "len(list_intersect(a, b))", "greatest(len(list_distinct(list_concat(a, b))), 1)"),
+    ("overlap", fields.overlap_fraction, "len(list_intersect(a, b))", "greatest(least(len(a), len(b)), 1)"),
+):
+    add(f"{_name}_part_pairs", lambda s, d, f=_fraction: part_pairs(s, d).select(*_ids(), f(F.col("a_pos"), F.col("b_pos")).alias("f")).select("a_id", "b_id", "f.num", "f.den", F.round(F.col("f.num") / F.col("f.den"), 6).alias("value")), f"select a_id, b_id, ({_num})::bigint as num, ({_den})::bigint as den, round(({_num}) / ({_den}), 6) as value from {_PAIRS}")
+add("levenshtein_part_pairs", lambda s, d: part_pairs(s, d).select(*_ids(), F.levenshtein("a_p_name", "b_p_name").alias("edits")), f"select a_id, b_id, levenshtein(an, bn)::int as edits from {_PAIRS}")
+add("exact_similarity", lambda s, d: part_pairs(s, d).select(*_ids(), fields.equal_bit(F.col("a_p_size"), F.col("b_p_size")).alias("equal")), f"select a_id, b_id, (az = bz)::bigint as equal from {_PAIRS}")
+add("completeness", lambda s, d: ex(s, d).select("rec_id", *[f"{f}_delta" for f in ("name", "city")]), O.query("select rec_id, nd as name_delta, cd as city_delta from ex"))
+_RULES = {"min": "least(x.nd, y.nd)", "product": "x.nd * y.nd // 100", "left": "x.nd", "mean": "(x.nd + y.nd) // 2"}
+add("pair_completeness_rules", lambda s, d: match.pairs(ex(s, d).where("rec_id < 10000010"), ey(s, d)).select("x_rec_id", "y_rec_id", *[score.pair_delta("name", r).cast("long").alias(f"by_{r}") for r in _RULES]), O.query(f"select x.rec_id as x_rec_id, y.rec_id as y_rec_id, {', '.join(f'({v})::bigint as by_{k}' for k, v in _RULES.items())} from ex x, ey y where x.rec_id < 10000010"))
+add("explain_pairs", lambda s, d: match.explain(ex(s, d), ey(s, d), bp(s, d)).select("x_id", "y_id", "name_ppm", "city_ppm", "postcode_equal", "birth_day_equal"), O.query("select x_id, y_id, (2 * len(list_intersect(x.np, y.np)) * 1000000 // (greatest(len(x.np), 1) + greatest(len(y.np), 1)))::bigint as name_ppm, (2 * len(list_intersect(x.cp, y.cp)) * 1000000 // (greatest(len(x.cp), 1) + greatest(len(y.cp), 1)))::bigint as city_ppm, coalesce((x.postcode = y.postcode)::bigint, 0) as postcode_equal, coalesce((x.birth_day = y.birth_day)::bigint, 0) as birth_day_equal from bp join ex x on x.rec_id = x_id join ey y on y.rec_id = y_id", *_BASE))
+add("link_one_by_size", lambda s, d: _link_one(s, d), O.query("select size, x_id, y_id, num, den from (select *, row_number() over (partition by size order by " + O.KEY + " desc, y_id) as rank from sc, (select unnest([1, 10, 25, 100]) as size) z where x_id = 10000000 and y_id < 20000000 + size) where rank = 1", O.SCORES))
+
+
+def _link_one(s, d):
+    one = ex(s, d).where("rec_id = 10000000")
+    frames = [match.best_partners(one, ey(s, d).where(F.col("rec_id") < 20_000_000 + n)).select(F.lit(n).alias("size"), "x_id", "y_id", "num", "den") for n in (1, 10, 25, 100)]
+    return frames[0].union(frames[1]).union(frames[2]).union(frames[3])
+
+
+add("padded_link_all", lambda s, d: match.accept(match.best_partners(ex(s, d), match.pad(ey(s, d), 12_000, 90_000_000)), TAU), SQL["link_all"])
+add("best_margin", lambda s, d: match.best_window(match.scored(match.pairs(ex(s, d), ey(s, d))), 2).groupBy("x_id").agg((F.max(score.ppm(F.col("num"), F.col("den"))) - F.min(score.ppm(F.col("num"), F.col("den")))).alias("margin_ppm")), O.query("select x_id, max(num * 1000000 // den) - min(num * 1000000 // den) as margin_ppm from (" + O.best("sc", 2) + ") group by x_id", O.SCORES))
+add("no_exact_copies", lambda s, d: Registry.of(s, d).side(0).join(Registry.of(s, d).side(1), list(ATTRIBUTES)).agg(F.count("*").alias("copies")), "select 0::bigint as copies")
+add("overlap_rate", lambda s, d: truth(s, d).agg(F.count("*").alias("shared")).crossJoin(ex(s, d).agg(F.count("*").alias("records"))), over_registry("select (select count(*) from truth_) as shared, (select count(*) from registry_left_) as records"))
+add("corruption_profile", lambda s, d: Registry.of(s, d).copy("l").groupBy("n_errors", "shuffled").agg(F.count("*").alias("n")), over_registry("select n_errors, shuffled, count(*) as n from copy_left group by all"))
+add("key_links", lambda s, d: Registry.of(s, d).side(0).join(Registry.of(s, d).side(1).select(F.col("rec_id").alias("y_id"), "entity"), "entity").select(F.col("rec_id").alias("x_id"), "y_id"), over_registry("select * from truth_"))
+# Private runs: the clear query is the oracle.
+_SMALL_X, _SMALL_Y = "x.rec_id < 10000060", "rec_id < 20000060"
+
+
+def small(s, d):
+    return ex(s, d).where("rec_id < 10000060"), ey(s, d).where(_SMALL_Y)
+
+
+_SECURE = O.query(f"select x_id, case when num * 10000 > den * {TAU} then y_id end as y_id, (num * 1000000) // den as score_ppm from ({O.best('sc')})", ("sc", O.scores("ex", "ey", where=f"{_SMALL_X} and y.{_SMALL_Y}")))
+add("secure_link_all_small", lambda s, d: secure.link_all(*small(s, d), TAU, block=25).select("x_id", "y_id", score.ppm(F.col("num"), F.col("den")).alias("score_ppm")), _SECURE)
+add("secure_best_scan", lambda s, d: secure.link_all(*small(s, d), TAU, order="scan", block=30).select("x_id", "y_id", score.ppm(F.col("num"), F.col("den")).alias("score_ppm")), _SECURE)
+add("traffic_by_step", lambda s, d: secure.traffic(*small(s, d), block=30).where("step = 'dice' and src = 0").select("step", "n_words", "n_bytes"), "select 'dice' as step, 2 * 4 * 60 * 900 as n_words, 8 * 2 * 4 * 60 * 900 as n_bytes")
+_LINE = "(select l_orderkey * 8 + l_linenumber as id, (l_partkey - 1000) * 7919 as a, (l_suppkey - 50) * 104729 as b from lineitem where l_orderkey < 500)"
+
+
+def ring(s, d):
+    rows = table(s, d, "lineitem").where("l_orderkey < 500")
+    return rows.select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).cast("long").alias("id"), ((F.col("l_partkey") - 1000) * 7919).cast("long").alias("a"), ((F.col("l_suppkey") - 50) * 104729).cast("long").alias("b"))
+
+
+for _what, _sql in (("multiply", "a * b"), ("greater", "(a > b)::int"), ("equal", "(a = b)::int"), ("select", "greatest(a, b)"), ("add", "a + b")):
+    add(f"secure_{_what}", lambda s, d, w=_what: secure.kernel(s, ring(s, d), w), f"select id, ({_sql})::varchar as result from {_LINE}")
+# Cost.
+_VALUES = lambda rows: ", ".join(str(r) for r in rows)
+add("published_speedups", lambda s, d: cost.speedups(s), f"select size, round(a2 / a3, 2)::double as a, round(b2 / b3, 2)::double as b, round(c2 / c3, 2)::double as c, round(m2 / m3, 2)::double as mb from (select col0 as size, col1::double as a2, col2::double as a3, col3::double as b2, col4::double as b3, col5::double as c2, col6::double as c3, col7::double as m2, col8::double as m3 from (values {_VALUES(cost.PUBLISHED)}))")
+add("published_error_totals", lambda s, d: cost.error_totals(s), f"select col0 as tau_bp, col1 + col2 as total_two, col3 + col4 as total_three from (values {_VALUES(cost.ERRORS)})")
+add("traffic_formula", lambda s, d: cost.map_words(s), f"select size, 3600 * (size + 1) as opened_words, 2 * size as dealt_words from (select unnest({list(cost.SIZES)}) as size)")
+add("modelled_seconds", lambda s, d: cost.modelled(s), f"select profile, size, round((40 + 10 * ceil(log2(size))) * lat / 1000 + ((3600 * (size + 1) + 2 * size) * 8.0 + size * 2200) * 8.0 / (bw * 1e6), 4) as seconds from (select unnest({list(cost.SIZES)}) as size), (select col0 as profile, max(col3)::double as lat, min(col4)::double as bw from (values {_VALUES(cost.PROFILES)}) group by 1)")
+add("storage_per_record", lambda s, d: cost.storage(ex(s, d)), over_registry("select n as records, n * 226 as packed_bytes, n * 14400 as share_bytes, n * 126 as filter_bytes from (select count(*) as n from registry_left_)"))
+# Relational operators on linkage results and native tables.
+add("ops_join_theta_year", lambda s, d: Registry.of(s, d).left.alias("l").join(Registry.of(s, d).right.alias("r"), F.expr("l.last_name = r.last_name and abs(l.birth_year - r.birth_year) <= 2")).select(F.col("l.rec_id").alias("x_id"), F.col("r.rec_id").alias("y_id")), over_registry("select l.rec_id as x_id, r.rec_id as y_id from registry_left_ l join registry_right_ r on l.last_name = r.last_name and abs(l.birth_year - r.birth_year) <= 2"))
+add("ops_join_semi_matched", lambda s, d: Registry.of(s, d).left.join(match.accept(bp(s, d), TAU).where("accepted"), F.col("rec_id") == F.col("x_id"), "left_semi").select("rec_id"), O.query(f"select x_id as rec_id from bp where num * 10000 > den * {TAU}", *_BASE))
+add("ops_join_anti_unmatched", lambda s, d: Registry.of(s, d).left.join(match.accept(bp(s, d), TAU).where("accepted"), F.col("rec_id") == F.col("x_id"), "left_anti").select("rec_id"), O.query(f"select rec_id from ex where rec_id not in (select x_id from bp where num * 10000 > den * {TAU})", *_BASE))
+add("ops_rollup_nations", lambda s, d: table(s, d, "customer").rollup("c_nationkey", "c_mktsegment").agg(F.count("*").alias("n")), "select c_nationkey, c_mktsegment, count(*) as n from customer group by rollup (c_nationkey, c_mktsegment)")
+add("ops_cube_patterns", lambda s, d: ex(s, d).cube("name_delta", "city_delta").agg(F.count("*").alias("n")), O.query("select nd as name_delta, cd as city_delta, count(*) as n from ex group by cube (nd, cd)"))
+add("ops_ntile_scores", lambda s, d: bp(s, d).select("x_id", F.floor(F.col("score_ppm") / 50_000).alias("band")).groupBy("band").agg(F.count("*").alias("n")), O.query("select score_ppm // 50000 as band, count(*) as n from bp group by 1", *_BASE))
+add("ops_json_props", lambda s, d: table(s, d, "events").select("event_id", F.get_json_object("props", "$.k").cast("long").alias("k")), "select event_id, (props::json->>'k')::bigint as k from events")
+add("ops_dates_split", lambda s, d: table(s, d, "orders").select("o_orderkey", F.year("o_orderdate").alias("y"), F.month("o_orderdate").alias("m"), F.dayofmonth("o_orderdate").alias("dd")), "select o_orderkey, year(o_orderdate)::int as y, month(o_orderdate)::int as m, day(o_orderdate)::int as dd from orders")
+add("ops_except_links", lambda s, d: baselines.deterministic(Registry.of(s, d).left, Registry.of(s, d).right, ("last_name", "birth_year")).exceptAll(truth(s, d)), over_registry("select l.rec_id as x_id, r.rec_id as y_id from registry_left_ l join registry_right_ r on l.last_name = r.last_name and l.birth_year = r.birth_year except all select x_id, y_id from truth_"))
+add("ops_intersect_links", lambda s, d: baselines.deterministic(Registry.of(s, d).left, Registry.of(s, d).right, ("last_name", "birth_year")).intersect(truth(s, d)), over_registry("select l.rec_id as x_id, r.rec_id as y_id from registry_left_ l join registry_right_ r on l.last_name = r.last_name and l.birth_year = r.birth_year intersect select x_id, y_id from truth_"))
+add("turn_links", lambda s, d: table(s, d, "conversations").where("text is not null").groupBy(F.md5("text").alias("digest")).agg(F.count_distinct("conv_id").alias("conversations")).where("conversations > 1"), "select md5(text) as digest, count(distinct conv_id) as conversations from conversations where text is not null group by 1 having count(distinct conv_id) > 1")
+add("stream_arrivals", lambda s, d: arrivals.collected(arrivals.first_arrivals(arrivals.events(s, d)).select("event_id", "user_id")), "select event_id, user_id from events")
+add("stream_links_by_window", lambda s, d: arrivals.collected(arrivals.by_window(arrivals.events(s, d)).select(F.col("start").cast("string").alias("start"), "event_type", "n"), "complete"), "select strftime(time_bucket(interval 1 day, ts), '%Y-%m-%d %H:%M:%S') as start, event_type, count(*) as n from events group by 1, 2")
