@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import os
 import tempfile
 
@@ -31,8 +32,15 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def partitions(spark: SparkSession) -> int:
-    return int(spark.conf.get("spark.sql.shuffle.partitions"))
+def released(df: DataFrame) -> DataFrame:
+    """``df``, which is durable; what its making has shuffled and nothing refers to any more leaves the disks now.
+
+    Spark removes a shuffle's files once the driver has collected the objects that name it,
+    which may otherwise be long after.
+    """
+    gc.collect()
+    df.sparkSession.sparkContext._jvm.System.gc()
+    return df
 
 
 def text_bytes(df: DataFrame, text: str) -> int:

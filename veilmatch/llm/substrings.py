@@ -13,17 +13,15 @@ empty table gives no rows; other columns are ignored.
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
 
 import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from veilmatch.llm.common import table
-from veilmatch.llm.superkmers import Bucket, equal_windows, merged, mixed, repeated_spans, with_spans
+from veilmatch.llm.superkmers import Bucket, equal_windows, mixed, repeated_spans, with_spans
 
-WORDS, GRAM = 35, 10
+WORDS, GRAM = 35, 7
 
 
 def classes(held: Bucket, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -67,28 +65,20 @@ def dedup_words(docs: DataFrame, doc: str = "doc_id", text: str = "text", k: int
     """(doc_id, n_words, n_removed, kept_sha256, kept) of every row; kept is the text that is left."""
     spans = repeated_spans(docs, F.col(doc), F.col(text), k, m, True, repeated, False)
 
-    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for lo in range(0, batch.num_rows, 1000):
-                part = batch.slice(lo, 1000)
-                rows = []
-                for raw, found in zip(part.column(1).cast(pa.binary()).to_pylist(), part.column(2)):
-                    held = raw.split()
-                    n, gone = len(held), 0
-                    if found.is_valid:
-                        begins, ends = (found.values.field(i).to_numpy() for i in (0, 1))
-                        kept, at = [], 0
-                        for a, b in zip(*(x.tolist() for x in merged(begins, ends))):
-                            kept += held[at:a]
-                            gone += b - a
-                            at = b
-                        held = kept + held[at:]
-                    left = b" ".join(held)
-                    rows.append((n, gone, hashlib.sha256(left).hexdigest(), left.decode() if keep_text else None))
-                columns = list(zip(*rows))
-                yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.string(), pa.string())))], names=["doc_id", "n_words", "n_removed", "kept_sha256", "kept"])
-
-    return with_spans(docs, F.col(doc), F.col(text), spans).mapInArrow(cut, "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string")
+    def cut(raw: bytes, begins: np.ndarray | None, ends: np.ndarray | None) -> tuple:
+        held = raw.split()
+        n, gone = len(held), 0
+        if begins is not None:
+            kept, at = [], 0
+            for a, b in zip(begins.tolist(), ends.tolist()):
+                kept += held[at:a]
+                gone += b - a
+                at = b
+            held = kept + held[at:]
+        left = b" ".join(held)
+        return n, gone, hashlib.sha256(left).hexdigest(), left.decode() if keep_text else None
+
+    return with_spans(docs, F.col(doc), F.col(text), spans, cut, "n_words long, n_removed long, kept_sha256 string, kept string")
 
 
 def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -16,17 +16,15 @@ are ordered by a hash of their text; a null id comes first; an empty table gives
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
 
 import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from veilmatch.llm.common import table
-from veilmatch.llm.superkmers import Bucket, Symbols, equal_windows, merged, mixed, repeated_spans, with_spans
+from veilmatch.llm.superkmers import Bucket, Symbols, equal_windows, mixed, repeated_spans, with_spans
 
-BYTES, GRAM, SEED = 100, 24, 16
+BYTES, GRAM, SEED = 100, 20, 16
 
 
 def common_extension(s: Symbols, a: np.ndarray, b: np.ndarray, most: int) -> np.ndarray:
@@ -136,23 +134,14 @@ def dedup_bytes(docs: DataFrame, doc: str = "doc_id", text: str = "text", k: int
     """(doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept) of every row; kept is binary, as a cut may split a character."""
     spans = repeated_spans(docs, F.col(doc), F.col(text), k, m, False, later, True)
 
-    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for lo in range(0, batch.num_rows, 1000):
-                part = batch.slice(lo, 1000)
-                rows = []
-                for raw, found in zip(part.column(1).cast(pa.binary()).to_pylist(), part.column(2)):
-                    left, gone, runs = raw, 0, 0
-                    if found.is_valid:
-                        begins, ends = merged(*(found.values.field(i).to_numpy() for i in (0, 1)))
-                        gone, runs = int((ends - begins).sum()), len(begins)
-                        left = b"".join([raw[a:b] for a, b in zip([0, *ends.tolist()], [*begins.tolist(), len(raw)])])
-                    rows.append((len(raw), gone, runs, hashlib.sha256(left).hexdigest(), left if keep_bytes else None))
-                columns = list(zip(*rows))
-                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.binary())
-                yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(c, t) for c, t in zip(columns, kinds))], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
-
-    return with_spans(docs, F.col(doc), F.col(text), spans).mapInArrow(cut, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
+    def cut(raw: bytes, begins: np.ndarray | None, ends: np.ndarray | None) -> tuple:
+        left, gone, runs = raw, 0, 0
+        if begins is not None:
+            gone, runs = int((ends - begins).sum()), len(begins)
+            left = b"".join([raw[a:b] for a, b in zip([0, *ends.tolist()], [*begins.tolist(), len(raw)])])
+        return len(raw), gone, runs, hashlib.sha256(left).hexdigest(), left if keep_bytes else None
+
+    return with_spans(docs, F.col(doc), F.col(text), spans, cut, "n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
 
 
 def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

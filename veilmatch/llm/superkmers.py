@@ -24,12 +24,14 @@ import pyarrow as pa
 import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from veilmatch.llm.common import text_bytes
+from veilmatch.llm.common import durable, released, text_bytes
 
 CHUNK = 1 << 21  # bytes of text that are handled at once
 BUCKET = 1 << 22  # bytes of super-k-mers that one bucket is to hold
-HOT = 4096  # super-k-mers of one minimiser from which its windows are sent singly
+FINE = 8  # buckets that travel together and are worked through one by one
+HOT = 16_384  # super-k-mers of one minimiser from which its windows are sent singly
 NO_ID = -(1 << 63)
 BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
 BASE_INV = np.uint64(pow(int(BASE), -1, 1 << 64))
@@ -161,20 +163,47 @@ def stretches(texts: list[bytes], k: int, words: bool) -> Iterator[list[tuple[by
         yield group
 
 
-def packed_blob(ids: np.ndarray, hashes: np.ndarray, places: np.ndarray, many: np.ndarray, strings: list[bytes]) -> bytes:
+def sample_text(plain: DataFrame) -> bytes:
+    """Some bytes of a few texts, which the compressor of short blobs and texts begins with. It changes sizes only."""
+    rows = plain.select(F.substring("text", 1, 2000).alias("t")).where("text <> ''").orderBy(F.xxhash64("t"), "t").limit(56).collect()
+    return "\n".join(r["t"] for r in rows).encode()[:110_000]
+
+
+class Codec:
+    """zstd with a shared beginning; made once in each task."""
+
+    LEVEL = 6
+
+    def __init__(self, beginning: bytes):
+        held = {"dict_data": zstandard.ZstdCompressionDict(beginning, dict_type=zstandard.DICT_TYPE_RAWCONTENT)} if len(beginning) > 64 else {}
+        self.pack = zstandard.ZstdCompressor(level=self.LEVEL, **held).compress
+        self.unpack = zstandard.ZstdDecompressor(**held).decompress
+
+
+def _columns(*arrays: np.ndarray) -> bytes:
+    """Numbers byte by byte of their places, which packs well."""
+    return b"".join(np.ascontiguousarray(x).view(np.uint8).reshape(len(x), -1).T.tobytes() for x in arrays)
+
+
+def packed_blob(codec: Codec, number: np.ndarray, ids: np.ndarray, hashes: np.ndarray, places: np.ndarray, many: np.ndarray, fine: np.ndarray, strings: list[bytes]) -> bytes:
+    """Super-k-mers of the documents ``number`` (in ids and hashes)."""
+    held, own = np.unique(number, return_inverse=True)
     sizes = np.array([len(x) for x in strings], np.uint32)
-    head = np.array([len(strings)], np.int64).tobytes()
-    return zstandard.ZstdCompressor(level=1).compress(b"".join([head, ids.tobytes(), hashes.tobytes(), places.tobytes(), many.astype(np.uint8).tobytes(), sizes.tobytes(), *strings]))
+    head = np.array([len(strings), len(held)], np.int64).tobytes()
+    return codec.pack(b"".join([head, _columns(ids[held], hashes[held], own.astype(np.uint32), places, sizes, many.astype(np.uint8), fine.astype(np.uint8)), *strings]))
 
 
-def unpacked_blob(blob: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray, bytes]:
-    data = zstandard.ZstdDecompressor().decompress(blob)
-    n = int(np.frombuffer(data, np.int64, 1)[0])
-    out, at = [], 8
-    for kind, width in ((np.int64, 8), (np.int64, 8), (np.int64, 8), (np.uint8, 1), (np.uint32, 4)):
-        out.append(np.frombuffer(data, kind, n, at))
-        at += n * width
-    return (*out, data[at:])
+def unpacked_blob(codec: Codec, blob: bytes) -> tuple[list[np.ndarray], bytes]:
+    """ids, hashes, places, sizes, many, fine of each string; the strings."""
+    data = codec.unpack(blob)
+    n, docs = np.frombuffer(data, np.int64, 2).tolist()
+    out, at = [], 16
+    for size, kind in ((docs, np.int64), (docs, np.int64), (n, np.uint32), (n, np.int64), (n, np.uint32), (n, np.uint8), (n, np.uint8)):
+        width = np.dtype(kind).itemsize
+        out.append(np.frombuffer(data, np.uint8, size * width, at).reshape(width, size).T.copy().view(kind).ravel())
+        at += size * width
+    ids, hashes, own, *rest = out
+    return [ids[own], hashes[own], *rest], data[at:]
 
 
 def _texts(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, list[bytes]]:
@@ -213,20 +242,21 @@ def hot_minimisers(plain: DataFrame, k: int, m: int, words: bool) -> np.ndarray:
     return np.array(sorted(r["key"] for r in found.select("key").collect()), np.uint32)
 
 
-def spread(plain: DataFrame, k: int, m: int, words: bool, buckets: int, hot: np.ndarray, first_stays: bool) -> DataFrame:
+def spread(plain: DataFrame, k: int, m: int, words: bool, buckets: int, hot: np.ndarray, first_stays: bool, beginning: bytes) -> DataFrame:
     """(bucket, blob): packed super-k-mers for buckets 0 and up, settled spans below 0.
 
     first_stays: of equal super-k-mers in a chunk the earliest is open and the others are settled; else all are settled.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        codec = Codec(beginning)
         for batch in batches:
             for lo in range(0, batch.num_rows, 1000):
                 ids, hashes, texts = _texts(batch.slice(lo, 1000))
                 for group in stretches(texts, k, words):
-                    yield from chunk(ids, hashes, group)
+                    yield from chunk(codec, ids, hashes, group)
 
-    def chunk(ids: np.ndarray, hashes: np.ndarray, group: list[tuple[bytes, int, int]]) -> Iterator[pa.RecordBatch]:
+    def chunk(codec: Codec, ids: np.ndarray, hashes: np.ndarray, group: list[tuple[bytes, int, int]]) -> Iterator[pa.RecordBatch]:
         s = (as_words if words else as_bytes)([p[0] for p in group])
         r = runs_of(s, k, m)
         first, last, key = r.first, r.last, mixed(r.key.astype(np.uint64))
@@ -258,14 +288,15 @@ def spread(plain: DataFrame, k: int, m: int, words: bool, buckets: int, hot: np.
         out_bucket, out_blob = [], []
         rows = np.flatnonzero(lead)
         rows = rows[np.argsort(bucket[rows], kind="stable")]
-        for part in np.split(rows, np.flatnonzero(np.diff(bucket[rows])) + 1):
-            out_bucket.append(int(bucket[part[0]]))
-            out_blob.append(packed_blob(ids[number[part]], hashes[number[part]], place[part], many[part] & (not first_stays), [strings[i] for i in part.tolist()]))
+        group_of = bucket[rows] // FINE
+        for part in np.split(rows, np.flatnonzero(np.diff(group_of)) + 1):
+            out_bucket.append(int(bucket[part[0]]) // FINE)
+            out_blob.append(packed_blob(codec, number[part], ids, hashes, place[part], many[part] & (not first_stays), bucket[part] % FINE, [strings[i] for i in part.tolist()]))
         done = np.flatnonzero(settled)
         if len(done):
             out_bucket.append(-1 - int(key[done[0]] % np.uint64(buckets)))
             spans = np.stack((ids[number[done]], hashes[number[done]], place[done], place[done] + last[done] - first[done] + k))
-            out_blob.append(zstandard.ZstdCompressor(level=1).compress(spans.tobytes()))
+            out_blob.append(codec.pack(spans.tobytes()))
         yield pa.RecordBatch.from_arrays([pa.array(out_bucket, pa.int32()), pa.array(out_blob, pa.binary())], names=["bucket", "blob"])
 
     return plain.mapInArrow(run, "bucket int, blob binary")
@@ -283,16 +314,22 @@ class Bucket:
     many: np.ndarray  # known to be repeated
 
 
-def meet(blobs: list[bytes], k: int, words: bool) -> Bucket:
-    parts = [unpacked_blob(b) for b in blobs]
-    ids, hashes, places, many, sizes = (np.concatenate([p[i] for p in parts]) for i in range(5))
+def meet(codec: Codec, blobs: list[bytes], k: int, words: bool) -> Iterator[Bucket]:
+    """The buckets of a group, one by one."""
+    parts = [unpacked_blob(codec, b) for b in blobs]
+    ids, hashes, places, sizes, many, fine = (np.concatenate([p[0][i] for p in parts]) for i in range(6))
     ends = np.concatenate(([0], np.cumsum(sizes.astype(np.int64))))
-    joined = b"".join([p[5] for p in parts])
-    strings = [joined[a:b] for a, b in zip(ends[:-1].tolist(), ends[1:].tolist())]
-    s = (as_words if words else as_bytes)(strings)
-    n = np.diff(s.ends) - k + 1
-    inside = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-    return Bucket(s, np.repeat(s.ends[:-1], n) + inside, np.repeat(ids, n), np.repeat(hashes, n), np.repeat(places, n) + inside, np.repeat(many, n).astype(bool))
+    joined = b"".join([p[1] for p in parts])
+    del parts
+    for f in range(FINE):
+        own = np.flatnonzero(fine == f)
+        if not len(own):
+            continue
+        s = (as_words if words else as_bytes)([joined[a:b] for a, b in zip(ends[own].tolist(), ends[own + 1].tolist())])
+        n = np.diff(s.ends) - k + 1
+        inside = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+        each = lambda c: np.repeat(c[own], n)  # noqa: B023, E731
+        yield Bucket(s, np.repeat(s.ends[:-1], n) + inside, each(ids), each(hashes), each(places) + inside, each(many).astype(bool))
 
 
 def equal_windows(s: Symbols, a: np.ndarray, b: np.ndarray, k: int) -> np.ndarray:
@@ -336,30 +373,62 @@ def repeated_spans(
     plain = docs.select(doc.cast("long").alias("doc_id"), F.coalesce(text.cast("string"), F.lit("")).alias("text"))
     plain = plain.select("doc_id", F.xxhash64("text").alias("text_hash"), "text")
     buckets = max(1, -(-4 * text_bytes(plain, "text") // BUCKET))
-    sent = spread(plain, k, m, words, buckets, hot_minimisers(plain, k, m, words), first_stays)
+    beginning = sample_text(plain)
+    sent = spread(plain, k, m, words, buckets, hot_minimisers(plain, k, m, words), first_stays, beginning)
+
+    def spans_of(held: Bucket) -> np.ndarray:
+        hit = np.flatnonzero(settle(held, k))
+        new = np.ones(len(hit), bool)
+        new[1:] = (np.diff(hit) != 1) | (np.diff(held.places[hit]) != 1) | (np.diff(held.ids[hit]) != 0) | (np.diff(held.hashes[hit]) != 0)
+        head = np.flatnonzero(new)
+        tail = np.concatenate((head[1:] - 1, [len(hit) - 1])) if len(hit) else head
+        return np.stack((held.ids[hit[head]], held.hashes[hit[head]], held.places[hit[head]], held.places[hit[tail]] + k))
 
     def run(group: pa.Table) -> pa.Table:
+        codec = Codec(beginning)
         if group["bucket"][0].as_py() < 0:
-            spans = np.concatenate([np.frombuffer(zstandard.ZstdDecompressor().decompress(b), np.int64).reshape(4, -1) for b in group["blob"].to_pylist()], axis=1)
+            spans = np.concatenate([np.frombuffer(codec.unpack(b), np.int64).reshape(4, -1) for b in group["blob"].to_pylist()], axis=1)
         else:
-            held = meet(group["blob"].to_pylist(), k, words)
-            hit = np.flatnonzero(settle(held, k))
-            new = np.ones(len(hit), bool)
-            new[1:] = (np.diff(hit) != 1) | (np.diff(held.places[hit]) != 1) | (np.diff(held.ids[hit]) != 0) | (np.diff(held.hashes[hit]) != 0)
-            head = np.flatnonzero(new)
-            tail = np.concatenate((head[1:] - 1, [len(hit) - 1])) if len(hit) else head
-            spans = np.stack((held.ids[hit[head]], held.hashes[hit[head]], held.places[hit[head]], held.places[hit[tail]] + k))
+            spans = np.concatenate([spans_of(held) for held in meet(codec, group["blob"].to_pylist(), k, words)], axis=1)
         return pa.table({n: pa.array(c) for n, c in zip(("doc_id", "text_hash", "begin", "end"), spans)})
 
     found = sent.groupBy("bucket").applyInArrow(run, "doc_id long, text_hash long, begin long, end long")
-    return found.groupBy("doc_id", "text_hash").agg(F.collect_list(F.struct("begin", "end")).alias("spans"))
+    return durable(found.groupBy("doc_id", "text_hash").agg(F.collect_list(F.struct("begin", "end")).alias("spans")))
 
 
-def with_spans(docs: DataFrame, doc: Column, text: Column, spans: DataFrame) -> DataFrame:
-    """(doc_id, text, spans) of every row."""
+def with_spans(docs: DataFrame, doc: Column, text: Column, spans: DataFrame, cut: Callable[[bytes, np.ndarray | None, np.ndarray | None], tuple], fields: str) -> DataFrame:
+    """doc_id and what ``cut`` makes of each row's text and the maximal spans of it; texts travel packed."""
+    spans = released(spans)
     plain = docs.select(doc.cast("long").alias("doc_id"), F.coalesce(text.cast("string"), F.lit("")).alias("text"))
-    keyed = plain.withColumn("text_hash", F.xxhash64("text")).withColumn("_id", F.coalesce("doc_id", F.lit(NO_ID).cast("long")))
-    return keyed.join(spans.withColumnRenamed("doc_id", "_id"), ["_id", "text_hash"], "left").select("doc_id", "text", "spans")
+    beginning = sample_text(plain)
+    keyed = plain.select("doc_id", F.xxhash64("text").alias("text_hash"), F.coalesce("doc_id", F.lit(NO_ID).cast("long")).alias("_id"), "text")
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        codec = Codec(beginning)
+        for batch in batches:
+            for lo in range(0, batch.num_rows, 1000):
+                part = batch.slice(lo, 1000)
+                packed = [codec.pack(t) for t in part.column(3).cast(pa.binary()).to_pylist()]
+                yield pa.RecordBatch.from_arrays([*part.columns[:3], pa.array(packed, pa.binary())], names=["doc_id", "text_hash", "_id", "packed"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        codec = Codec(beginning)
+        for batch in batches:
+            for lo in range(0, batch.num_rows, 1000):
+                part = batch.slice(lo, 1000)
+                rows = []
+                for packed, found in zip(part.column(1).to_pylist(), part.column(2)):
+                    ends = merged(*(found.values.field(i).to_numpy() for i in (0, 1))) if found.is_valid else (None, None)
+                    rows.append(cut(codec.unpack(packed), *ends))
+                columns = [pa.array(c, kind) for c, kind in zip(zip(*rows), kinds)]
+                yield pa.RecordBatch.from_arrays([part.column(0), *columns], names=names)
+
+    schema = T.StructType([T.StructField("doc_id", T.LongType())] + T._parse_datatype_string(fields).fields)
+    names = schema.fieldNames()
+    kinds = [{"bigint": pa.int64(), "string": pa.string(), "binary": pa.binary()}[f.dataType.simpleString()] for f in schema.fields[1:]]
+    packed = keyed.mapInArrow(pack, "doc_id long, text_hash long, _id long, packed binary")
+    joined = packed.join(spans.withColumnRenamed("doc_id", "_id"), ["_id", "text_hash"], "left")
+    return joined.select("doc_id", "packed", "spans").mapInArrow(run, schema)
 
 
 def merged(begins: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
