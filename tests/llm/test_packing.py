@@ -5,18 +5,18 @@ import numpy as np
 import public_tokenizers
 from tokenizers import Tokenizer
 
-from veilmatch.llm.packing import WordIds, pack, pieces, plan, token_bytes
+from veilmatch.llm.packing import PieceIds, pack, pieces, plan, token_bytes
 
 PATH = public_tokenizers.path("word_bpe_49k.json")
 ODD = [
     None, "", " ", "\n", "Don't we'LL they're O'Brien's 3.14 x²", "ÀÉÎ straße ŁÓDŹ İstanbul ΣΑΣ Σ", "é äbc ́x", "日本語 текст Ωmega", "a\tb c d\x0be\r\nf",
-    "<|endoftext|> x<|startoftext|>y", "!!!??? -- ... ***", "K Å ﬀ ǆ", "word," * 3000, "​zero ﻿bom", "1234567890 ½ Ⅷ", "🙂🙂 emoji👩‍👩‍👧",
+    "<|endoftext|> x<|startoftext|>y", "!!!??? -- ... ***", "K Å ﬀ ǆ", "word," * 3000, "​zero ﻿bom", "1234567890 ½ Ⅷ", "a\x1cb\x1f c\x85d\xa0e\u2003f\u3000g\u180eh", "~!x \x00y \x7fz", "🙂🙂 emoji👩‍👩‍👧",
 ]
 
 
 def test_ids_equal_the_library(spark, sf):
     whole = Tokenizer.from_file(PATH)
-    words = WordIds(PATH, most=500)
+    words = PieceIds(PATH, most=500)
     texts = ODD + [r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()]
     for t in texts:
         want = whole.encode(t or "", add_special_tokens=False).ids + [0]

@@ -20,10 +20,10 @@ import unicodedata
 import zlib
 from collections.abc import Iterator
 from itertools import accumulate
+from struct import pack as packed
 
 import numpy as np
 import pyarrow as pa
-import regex
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -31,10 +31,6 @@ from pyspark.sql import types as T
 from veilmatch.llm.common import durable, table
 
 SIZE = 2048
-# The split pattern of the vocabulary file.
-PIECES = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
-
-
 def byte_letters() -> list[str]:
     """The printable letter that byte-level vocabularies write for each byte."""
     plain = {*range(ord("!"), ord("~") + 1), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
@@ -42,12 +38,19 @@ def byte_letters() -> list[str]:
     return [chr(b) if b in plain else chr(next(spare)) for b in range(256)]
 
 
-class WordIds(dict):
-    """Ids of a word between blanks, packed as little-endian unsigned 32-bit numbers.
+# The split pattern of the vocabulary file, for characters below U+0180 and for lower-case ASCII.
+_LETTERS, _DIGITS, _SPACES = "A-Za-zªµºÀ-ÖØ-öø-ſ", "0-9²³¹¼-¾", " \t\n\x0b\x0c\r\x85\xa0"
+_LOW_PIECES = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTERS}]+|[{_DIGITS}]|[^{_SPACES}{_LETTERS}{_DIGITS}]+").findall
+_ASCII_PIECES = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^ \t\n\x0b\x0c\rA-Za-z0-9]+").findall
+_HIGH = re.compile("[ƀ-\U0010ffff]").search
+_SPECIAL = ("<|startoftext|>", "<|endoftext|>")
+
+
+class PieceIds(dict):
+    """Ids of a piece of text, packed as little-endian unsigned 32-bit numbers.
 
-    The vocabulary drops blanks, so ids of a text are those of its words in turn. Words of
-    letters below U+0180 are lower-cased and cut here and only their pieces go to the model;
-    any other word goes to the tokenizer whole. Both memories are emptied when full.
+    The memory has two generations: a full one becomes the older, from which pieces in use
+    return, and the older one goes.
     """
 
     def __init__(self, path: str, most: int = 400_000):
@@ -55,50 +58,47 @@ class WordIds(dict):
 
         super().__init__()
         self.whole = Tokenizer.from_file(path)
-        self.model = self.whole.model
         self.most = most
-        self.parts: dict[str, bytes] = {}
-        self.cut = regex.compile(PIECES).findall
-        self.simple = re.compile("[a-z]+").fullmatch
+        self.older: dict[str, bytes] = {}
         self.letters = byte_letters()
 
-    def __missing__(self, word: str) -> bytes:
+    def __missing__(self, piece: str) -> bytes:
         if len(self) >= self.most:
+            self.older = dict(self)
             self.clear()
-        self[word] = out = self.ids(word)
+        out = self.older.get(piece)
+        if out is None:
+            letters = piece if piece.isascii() and piece.isalnum() else "".join([self.letters[b] for b in piece.encode()])
+            ids = [t.id for t in self.whole.model.tokenize(letters)]
+            out = packed("<%dI" % len(ids), *ids)
+        self[piece] = out
         return out
 
-    def ids(self, word: str) -> bytes:
-        if "<|" in word:
-            return self.by_library(word)
-        low = word.lower() if word.isascii() else unicodedata.normalize("NFC", word)
-        if not word.isascii():
-            if max(low) >= "ƀ" or "İ" in low:
-                return self.by_library(word)
-            low = low.lower()
-        if self.simple(low):
-            return self.part(low)
-        return b"".join(map(self.part, self.cut(low)))
+    def of(self, text: str) -> bytes:
+        """The vocabulary drops blanks, so ids of a text are those of its pieces in turn.
 
-    def part(self, piece: str) -> bytes:
-        got = self.parts.get(piece)
-        if got is None:
-            if len(self.parts) >= self.most:
-                self.parts.clear()
-            letters = piece if self.simple(piece) else "".join(self.letters[b] for b in piece.encode())
-            got = self.parts[piece] = np.array([t.id for t in self.model.tokenize(letters)], "<u4").tobytes()
-        return got
+        Texts of characters below U+0180 are lower-cased and cut here and only pieces go to the model;
+        of other texts, the stretches between blanks are told apart in the same way.
+        """
+        if any(x in text for x in _SPECIAL):
+            return self.by_library(text)
+        if text.isascii():
+            return b"".join(map(self.__getitem__, _ASCII_PIECES(text.lower())))
+        text = unicodedata.normalize("NFC", text)
+        if not (_HIGH(text) or "İ" in text):
+            return b"".join(map(self.__getitem__, _LOW_PIECES(text.lower())))
+        return b"".join([self.by_library(x) if _HIGH(x) or "İ" in x else self.of(x) for x in re.split("[ \n]+", text)])
 
-    def by_library(self, word: str) -> bytes:
-        return np.array(self.whole.encode(word, add_special_tokens=False).ids, "<u4").tobytes()
+    def by_library(self, text: str) -> bytes:
+        return np.array(self.whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
 
-_words: dict[str, WordIds] = {}
+_words: dict[str, PieceIds] = {}
 
 
-def token_bytes(text: str | None, words: WordIds) -> bytes:
+def token_bytes(text: str | None, words: PieceIds) -> bytes:
     """Ids of a document, closed by id 0."""
-    return b"".join(map(words.__getitem__, re.split("[ \n]+", text.strip(" \n")))) + b"\0\0\0\0" if text and text.strip(" \n") else b"\0\0\0\0"
+    return (words.of(text) if text else b"") + b"\0\0\0\0"
 
 
 def pieces(docs: DataFrame, vocabulary: str, doc: str = "doc_id", text: str = "text", size: int = SIZE) -> DataFrame:
@@ -107,7 +107,7 @@ def pieces(docs: DataFrame, vocabulary: str, doc: str = "doc_id", text: str = "t
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if vocabulary not in _words:
-            _words[vocabulary] = WordIds(vocabulary)
+            _words[vocabulary] = PieceIds(vocabulary)
         words = _words[vocabulary]
         for batch in batches:
             rows: list[tuple] = []
