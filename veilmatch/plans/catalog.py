@@ -87,7 +87,7 @@ add(
     "best_threshold",
     lambda s, d: quality.best_threshold(bp(s, d), truth(s, d)),
     O.query(
-        "select t.tau_bp, (select count(*) from jd where not is_true and score_ppm // 100 > t.tau_bp)::bigint as fp, (select count(*) from jd where has_partner and score_ppm // 100 <= t.tau_bp)::bigint as fn, fp + fn as total from (select distinct (score_ppm // 100)::int as tau_bp from jd) t order by total, tau_bp limit 1",
+        "select *, fp + fn as total from (select t.tau_bp, (select count(*) from jd where not is_true and score_ppm // 100 > t.tau_bp)::bigint as fp, (select count(*) from jd where has_partner and score_ppm // 100 <= t.tau_bp)::bigint as fn from (select distinct (score_ppm // 100)::int as tau_bp from jd) t) order by total, tau_bp limit 1",
         *_JUDGED,
     ),
 )
