@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from veilmatch.llm.common import table
 from veilmatch.llm.superkmers import Bucket, Symbols, equal_windows, mixed, repeated_spans, with_spans
 
-BYTES, GRAM, SEED = 100, 20, 16
+BYTES, GRAM, SEED = 100, 18, 16
 
 
 def common_extension(s: Symbols, a: np.ndarray, b: np.ndarray, most: int) -> np.ndarray:

@@ -29,8 +29,8 @@ from pyspark.sql import types as T
 from veilmatch.llm.common import durable, released, text_bytes
 
 CHUNK = 1 << 21  # bytes of text that are handled at once
-BUCKET = 1 << 22  # bytes of super-k-mers that one bucket is to hold
-FINE = 8  # buckets that travel together and are worked through one by one
+BUCKET = 3 << 20  # bytes of super-k-mers that one bucket is to hold
+FINE = 10  # buckets that travel together and are worked through one by one
 HOT = 16_384  # super-k-mers of one minimiser from which its windows are sent singly
 NO_ID = -(1 << 63)
 BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
@@ -41,7 +41,7 @@ _POWERS: dict[int, np.ndarray] = {}
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     """BASE**i and its inverse mod 2**64 for i < n."""
     if 0 not in _POWERS or len(_POWERS[0]) < n:
-        size = 1 << max(16, int(n - 1).bit_length())
+        size = max(1 << 16, n * 5 // 4)
         for at, base in enumerate((BASE, BASE_INV)):
             out = np.full(size, base, np.uint64)
             out[0] = 1
