@@ -53,7 +53,7 @@ class PieceIds(dict):
     return, and the older one goes.
     """
 
-    def __init__(self, path: str, most: int = 400_000):
+    def __init__(self, path: str, most: int = 180_000):
         from tokenizers import Tokenizer
 
         super().__init__()
