@@ -344,8 +344,8 @@ def equal_windows(s: Symbols, a: np.ndarray, b: np.ndarray, k: int) -> np.ndarra
     def same(x: np.ndarray, y: np.ndarray, n: int) -> np.ndarray:
         x0, x1, y0, y1 = s.first[x], s.last[x + n - 1], s.first[y], s.last[y + n - 1]
         ok = (x1 - x0) == (y1 - y0)
-        for lo in range(0, len(ok), 50_000):
-            rows = np.flatnonzero(ok[lo : lo + 50_000]) + lo
+        for lo in range(0, len(ok), 4_000):
+            rows = np.flatnonzero(ok[lo : lo + 4_000]) + lo
             size = (x1 - x0)[rows]
             step = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
             differs = s.raw[np.repeat(x0[rows], size) + step] != s.raw[np.repeat(y0[rows], size) + step]
