@@ -64,11 +64,10 @@ def linked_spans(text: str, base: list[tuple[int, int, str]], scope: int = SCOPE
     weak = []
     if "://" in text:
         weak += [(*m.span(), "endpoint") for m in ENDPOINT.finditer(text)]
-    if not base and not weak:
-        return []
     weak += [(*m.span(), "key") for m in KEY.finditer(text) if is_mixed(m[0])]
     weak += [(*m.span(), "ident") for m in IDENT.finditer(text) if any(c.isdigit() for c in m[0]) and any(c.isalpha() for c in m[0])]
-    if not weak:
+    # A link has two ends: one kind of weak part alone has no complement.
+    if not weak or not base and len({k for _, _, k in weak}) < 2:
         return []
     gaps = [m.start() for m in GAP.finditer(text)]
     # Each part belongs to one block between blank lines.
