@@ -1,6 +1,6 @@
 import re
 
-from veilmatch.llm.licenses import BASE, scan_licenses
+from veilmatch.llm.licenses import BASE, TEMPLATES, scan_licenses
 
 ODD = [
     None, "", "!!!", "Apache License", "apache-license APACHE/LICENSE", "the apache  licensex", "éapache license", "GNU General Public License, cc by cc by mit license",
@@ -29,6 +29,14 @@ def test_base_columns_match_brute_force(spark, sf):
     assert labels[6008] == "mit" and labels[6010] == "mpl" and labels[6002] == ""
 
 
+def test_a_text_of_many_licenses_has_all_their_labels(spark):
+    notices = " . ".join(sentence for _, sentence, _ in TEMPLATES)
+    few = "mozilla public license x gnu lesser general public license x gnu affero general public license x eclipse public license x creative commons zero x bsd 3 clause"
+    got = {r.doc_id: r for r in scan_licenses(spark.createDataFrame([(1, notices), (2, few), (3, "nothing")], "doc_id long, text string")).collect()}
+    assert got[1].labels == ",".join(sorted({label for label, _, _ in TEMPLATES})) and round(got[1].score, 6) == 1
+    assert got[2].labels == "agpl,bsd,cc0,epl,lgpl,mpl" and got[3].labels == ""
+
+
 def test_empty_table(spark):
     assert scan_licenses(spark.createDataFrame([], "doc_id long, text string")).count() == 0
 

@@ -2,7 +2,7 @@
 
 Templates are short license sentences. Their words make an index: word to (template, position).
 A text keeps only the words that the index knows, with their positions; those words are weighted by
-their inverse document frequency over all documents. The rarest of them are looked up in
+their inverse document frequency over all documents. All of them are looked up in
 the index; postings that agree on the relative position of text and template form an
 alignment. An alignment counts when the template's mandatory key phrase stands in the text
 at that place. The score is the largest share of a template's weight that an alignment covers.
@@ -48,7 +48,6 @@ TEMPLATES = (
     ("unlicense", "free and unencumbered software released into the public domain", "free and unencumbered software"),
     ("epl", "made available under the terms of the eclipse public license", "eclipse public license"),
 )
-RAREST = 8  # index words of a document that are looked up
 # Function words say little: they are in the index only where they follow another index word.
 COMMON = frozenset("a and any as at by can copy for from in is it of on or the this to under with without you".split())
 
@@ -113,20 +112,15 @@ def alignments(facts: DataFrame, documents: int) -> DataFrame:
         if p in indexed(sentence)
     ]
     index = spark.createDataFrame(postings, "word string, template int, tpos int, idf double, is_key boolean, n_key int, weight double")
-    weights = F.create_map(*[x for w, v in idf.items() for x in (F.lit(w), F.lit(v))])
-    ranked = F.slice(F.array_sort(F.transform(F.array_distinct("hits.word"), lambda w: F.struct((-weights[w]).alias("k"), w.alias("w")))), 1, RAREST)
-    held = facts.where(F.size("hits") > 0).withColumn("rare", ranked["w"])
-    hit = held.select("rid", "rare", F.explode("hits").alias("h")).select("rid", "h.pos", "h.word", F.array_contains("rare", F.col("h.word")).alias("chosen"))
-    # Rare words choose (template, place); then every index word of the text counts there.
+    hit = facts.select("rid", F.explode("hits").alias("h")).select("rid", "h.pos", "h.word")
     looked = hit.join(F.broadcast(index), "word").withColumn("place", F.col("pos") - F.col("tpos"))
     found = looked.groupBy("rid", "template", "place").agg(
-        F.max("chosen").alias("chosen"),
         F.sum(F.col("is_key").cast("int")).alias("keys"),
         F.max("n_key").alias("n_key"),
         (F.sum("idf") / F.max("weight")).alias("share"),
     )
     label = F.element_at(F.array(*[F.lit(t[0]) for t in TEMPLATES]), F.col("template") + 1)
-    return found.where("chosen and keys = n_key").groupBy("rid").agg(F.collect_set(label).alias("found"), F.max("share").alias("share"))
+    return found.where("keys = n_key").groupBy("rid").agg(F.collect_set(label).alias("found"), F.max("share").alias("share"))
 
 
 def scan_licenses(docs: DataFrame, doc: str = "doc_id", text: str = "text") -> DataFrame:
