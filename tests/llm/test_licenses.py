@@ -37,6 +37,12 @@ def test_a_text_of_many_licenses_has_all_their_labels(spark):
     assert got[2].labels == "agpl,bsd,cc0,epl,lgpl,mpl" and got[3].labels == ""
 
 
+def test_key_phrases_stand_whole(spark):
+    rows = [(1, "software for one purpose with a small fee"), (2, "zzz for any purpose with or without fee"), (3, "for any purpose with or without fee"), (4, "software for any purpose with or without"), (5, "terms of a gnu general public licence")]
+    got = {r.doc_id: (r.labels, r.score > 0) for r in scan_licenses(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: ("", False), 2: ("isc", True), 3: ("isc", True), 4: ("", False), 5: ("", False)}
+
+
 def test_empty_table(spark):
     assert scan_licenses(spark.createDataFrame([], "doc_id long, text string")).count() == 0
 

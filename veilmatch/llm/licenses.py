@@ -4,8 +4,8 @@ Templates are short license sentences. Their words make an index: word to (templ
 A text keeps only the words that the index knows, with their positions; those words are weighted by
 their inverse document frequency over all documents. All of them are looked up in
 the index; postings that agree on the relative position of text and template form an
-alignment. An alignment counts when the template's mandatory key phrase stands in the text
-at that place. The score is the largest share of a template's weight that an alignment covers.
+alignment. An alignment counts when the template's mandatory key phrase stands whole in the text, all of its
+words in a row, at that place. The score is the largest share of a template's weight that an alignment covers.
 
 Scale: texts are read once, each document leaves a row of its few index words in the
 shared checkpoint folder, and everything after works on these. Document frequencies are grouped
@@ -62,10 +62,28 @@ def vocabulary() -> list[str]:
     return sorted({w for sentence in [t[1] for t in TEMPLATES] + [p for p, _ in BASE] for w in sentence.split()})
 
 
-def key_positions(sentence: str, phrase: str) -> list[int]:
+def key_place(sentence: str, phrase: str) -> int:
+    """Position of the key phrase in its sentence."""
     s, p = sentence.split(), phrase.split()
-    at = next(i for i in range(len(s)) if s[i : i + len(p)] == p)
-    return [i for i in indexed(sentence) if at <= i < at + len(p)]
+    return next(i for i in range(len(s)) if s[i : i + len(p)] == p)
+
+
+def whole_keys(hits: Column) -> Column:
+    """array<struct<template, place>>: where a template's key phrase stands in the column ``words``, with the place of the template."""
+    def places(t: int, sentence: str, p: list[str]) -> Column:
+        anchor = next(i for i, w in enumerate(p) if w not in COMMON)  # always among the hits
+        shift = anchor + key_place(sentence, " ".join(p))
+
+        def at(h: Column) -> Column:
+            ok = h["word"] == p[anchor]
+            for k, w in enumerate(p):
+                if k != anchor:
+                    ok = ok & F.coalesce(F.get("words", h["pos"].cast("int") + (k - anchor)) == w, F.lit(False))
+            return F.when(ok, F.struct(F.lit(t).alias("template"), (h["pos"] - shift).alias("place")))
+
+        return F.filter(F.transform(hits, at), lambda x: x.isNotNull())
+
+    return F.concat(*[places(t, sentence, phrase.split()) for t, (_, sentence, phrase) in enumerate(TEMPLATES)])
 
 
 def words_of(text: Column) -> Column:
@@ -73,14 +91,15 @@ def words_of(text: Column) -> Column:
 
 
 def index_words(docs: DataFrame, doc: str = "doc_id", text: str = "text") -> DataFrame:
-    """(rid, doc_id, n_words, hits): hits are array<struct<pos, word>> of index words in text order, written durably."""
+    """(rid, doc_id, n_words, hits, keys), written durably: hits are array<struct<pos, word>> of index words in text order, keys of whole_keys."""
     plain = docs.select(F.col(doc).cast("long").alias("doc_id"), words_of(F.coalesce(F.col(text).cast("string"), F.lit(""))).alias("words"))
     known = vocabulary()
     rare, common = [w for w in known if w not in COMMON], [w for w in known if w in COMMON]
     behind = lambda i: F.coalesce(F.get("words", i - 1).isin(rare), F.lit(False))
     taken = lambda w, i: F.when(w.isin(rare) | (w.isin(common) & behind(i)), F.struct(i.cast("long").alias("pos"), w.alias("word")))
     hits = F.filter(F.transform("words", taken), lambda x: x.isNotNull())
-    return durable(plain.select(F.monotonically_increasing_id().alias("rid"), "doc_id", F.size("words").cast("long").alias("n_words"), hits.alias("hits")))
+    held = plain.select("doc_id", "words", hits.alias("hits"))
+    return durable(held.select(F.monotonically_increasing_id().alias("rid"), "doc_id", F.size("words").cast("long").alias("n_words"), "hits", whole_keys(F.col("hits")).alias("keys")))
 
 
 def phrase_starts(hits: Column, phrase: str) -> Column:
@@ -105,22 +124,18 @@ def alignments(facts: DataFrame, documents: int) -> DataFrame:
     counts = {r["word"]: r["df"] for r in df.collect()}
     idf = {w: math.log((documents + 1) / (counts.get(w, 0) + 1)) + 1e-3 for w in vocabulary()}
     postings = [
-        (w, t, p, idf[w], p in key, len(key), sum(idf[sentence.split()[x]] for x in indexed(sentence)))
-        for t, (_, sentence, phrase) in enumerate(TEMPLATES)
-        for key in [key_positions(sentence, phrase)]
+        (w, t, p, idf[w], sum(idf[sentence.split()[x]] for x in indexed(sentence)))
+        for t, (_, sentence, _) in enumerate(TEMPLATES)
         for p, w in enumerate(sentence.split())
         if p in indexed(sentence)
     ]
-    index = spark.createDataFrame(postings, "word string, template int, tpos int, idf double, is_key boolean, n_key int, weight double")
-    hit = facts.select("rid", F.explode("hits").alias("h")).select("rid", "h.pos", "h.word")
+    index = spark.createDataFrame(postings, "word string, template int, tpos int, idf double, weight double")
+    hit = facts.where(F.size("keys") > 0).select("rid", "keys", F.explode("hits").alias("h")).select("rid", "keys", "h.pos", "h.word")
     looked = hit.join(F.broadcast(index), "word").withColumn("place", F.col("pos") - F.col("tpos"))
-    found = looked.groupBy("rid", "template", "place").agg(
-        F.sum(F.col("is_key").cast("int")).alias("keys"),
-        F.max("n_key").alias("n_key"),
-        (F.sum("idf") / F.max("weight")).alias("share"),
-    )
+    verified = looked.where(F.array_contains("keys", F.struct("template", "place")))
+    found = verified.groupBy("rid", "template", "place").agg((F.sum("idf") / F.max("weight")).alias("share"))
     label = F.element_at(F.array(*[F.lit(t[0]) for t in TEMPLATES]), F.col("template") + 1)
-    return found.where("keys = n_key").groupBy("rid").agg(F.collect_set(label).alias("found"), F.max("share").alias("share"))
+    return found.groupBy("rid").agg(F.collect_set(label).alias("found"), F.max("share").alias("share"))
 
 
 def scan_licenses(docs: DataFrame, doc: str = "doc_id", text: str = "text") -> DataFrame:
