@@ -250,3 +250,20 @@ add("ops_intersect_links", lambda s, d: baselines.deterministic(Registry.of(s, d
 add("turn_links", lambda s, d: table(s, d, "conversations").where("text is not null").groupBy(F.md5("text").alias("digest")).agg(F.count_distinct("conv_id").alias("conversations")).where("conversations > 1"), "select md5(text) as digest, count(distinct conv_id) as conversations from conversations where text is not null group by 1 having count(distinct conv_id) > 1")
 add("stream_arrivals", lambda s, d: arrivals.collected(arrivals.first_arrivals(arrivals.events(s, d)).select("event_id", "user_id")), "select event_id, user_id from events")
 add("stream_links_by_window", lambda s, d: arrivals.collected(arrivals.by_window(arrivals.events(s, d)).select(F.col("start").cast("string").alias("start"), "event_type", "n"), "complete"), "select strftime(time_bucket(interval 1 day, ts), '%Y-%m-%d %H:%M:%S') as start, event_type, count(*) as n from events group by 1, 2")
+
+# The queries above that SQL keeps small, over whole tables and whole texts: no SQL, tests hold them against brute force.
+add("pair_scores_all", lambda s, d: match.scored(match.pairs(ex(s, d), ey(s, d))))
+add("pair_completeness_rules_all", lambda s, d: match.pairs(ex(s, d), ey(s, d)).select("x_rec_id", "y_rec_id", *[score.pair_delta("name", r).cast("long").alias(f"by_{r}") for r in _RULES]))
+add("normalise_accents_all", lambda s, d: table(s, d, "documents").select("doc_id", F.md5(text.normalise(F.col("text"))).alias("digest")))
+
+
+def all_part_pairs(s, d):
+    """Every two parts, the one of smaller key first."""
+    a = part(s, d)
+    return a.select([F.col(c).alias(f"a_{c}") for c in a.columns]).join(a.select([F.col(c).alias(f"b_{c}") for c in a.columns]), F.col("a_p_partkey") < F.col("b_p_partkey"))
+
+
+for _name, _fraction in (("dice", fields.dice_fraction), ("jaccard", fields.jaccard_fraction), ("overlap", fields.overlap_fraction)):
+    add(f"{_name}_part_pairs_all", lambda s, d, f=_fraction: all_part_pairs(s, d).select(*_ids(), f(F.col("a_pos"), F.col("b_pos")).alias("f")).select("a_id", "b_id", "f.num", "f.den", F.round(F.col("f.num") / F.col("f.den"), 6).alias("value")))
+add("levenshtein_part_pairs_all", lambda s, d: all_part_pairs(s, d).select(*_ids(), F.levenshtein("a_p_name", "b_p_name").alias("edits")))
+add("exact_similarity_all", lambda s, d: all_part_pairs(s, d).select(*_ids(), fields.equal_bit(F.col("a_p_size"), F.col("b_p_size")).alias("equal")))
