@@ -28,7 +28,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from veilmatch.llm.common import durable, table
+from veilmatch.llm.common import durable, table, tidy
 
 TRAIN_ROWS = 2000  # labelled rows a language that the text models are fitted on, at most
 LANGUAGES = 64  # labels with most rows that get a model
@@ -91,7 +91,7 @@ def fit(docs: DataFrame, doc: str, text: str, label: str) -> tuple[list[str], np
         yield pa.RecordBatch.from_arrays([pa.array(counts, pa.string()), pa.array([c.tobytes() for c in counts.values()], pa.binary())], names=["label", "counts"])
 
     totals = np.full((len(names), BINS), 0.1)
-    for r in sample.mapInArrow(count, "label string, counts binary").collect():  # 8 tasks, one row a language
+    for r in sample.mapInArrow(tidy(count), "label string, counts binary").collect():  # 8 tasks, one row a language
         totals[names.index(r["label"])] += np.frombuffer(r["counts"], np.float64)
     return names, np.log(totals / totals.sum(axis=1, keepdims=True)).astype(np.float32)
 
@@ -120,7 +120,7 @@ def text_scores(docs: DataFrame, text: str, model: tuple[list[str], np.ndarray])
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(len(scores) + 1) * scores.shape[1], pa.int32()), pa.array(scores.ravel()))
                 yield pa.RecordBatch.from_arrays([*part.columns, lists, pa.array(letters[offsets[1:]] - letters[offsets[:-1]])], names=schema.names)
 
-    return held.mapInArrow(run, schema)
+    return held.mapInArrow(tidy(run), schema)
 
 
 def host_of(address: Column) -> Column:

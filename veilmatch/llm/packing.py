@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from veilmatch.llm.common import durable, table
+from veilmatch.llm.common import durable, table, tidy
 
 SIZE = 2048
 def byte_letters() -> list[str]:
@@ -93,9 +93,6 @@ class PieceIds(dict):
         return np.array(self.whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
 
-_words: dict[str, PieceIds] = {}
-
-
 def token_bytes(text: str | None, words: PieceIds) -> bytes:
     """Ids of a document, closed by id 0."""
     return (words.of(text) if text else b"") + b"\0\0\0\0"
@@ -106,9 +103,7 @@ def pieces(docs: DataFrame, vocabulary: str, doc: str = "doc_id", text: str = "t
     fields = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        if vocabulary not in _words:
-            _words[vocabulary] = PieceIds(vocabulary)
-        words = _words[vocabulary]
+        words = PieceIds(vocabulary)
         for batch in batches:
             rows: list[tuple] = []
             for lo in range(0, batch.num_rows, 500):
@@ -122,7 +117,7 @@ def pieces(docs: DataFrame, vocabulary: str, doc: str = "doc_id", text: str = "t
             types = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
 
-    return docs.select(F.col(doc).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text")).mapInArrow(run, fields)
+    return docs.select(F.col(doc).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text")).mapInArrow(tidy(run), fields)
 
 
 def plan(counts: np.ndarray, size: int = SIZE) -> list[tuple[tuple[int, ...], int]]:
@@ -215,7 +210,7 @@ def numbered(cut: DataFrame, size: int = SIZE) -> DataFrame:
             following[ranked[firsts]] += sizes
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(nth)], names=[*batch.schema.names, "nth"])
 
-    return cut.withColumn("part", F.spark_partition_id()).mapInArrow(run, schema)
+    return cut.withColumn("part", F.spark_partition_id()).mapInArrow(tidy(run), schema)
 
 
 def pack(cut: DataFrame, size: int = SIZE) -> DataFrame:
@@ -247,7 +242,7 @@ def pack(cut: DataFrame, size: int = SIZE) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*(cols[n] for n in names), pa.array(sequence), pa.array(offset)], names=[*names, "sequence_id", "offset"])
 
     placed = kept.join(based, ["part", "length"]).select(*names, (F.col("base") + F.col("nth")).alias("number"))
-    return placed.mapInArrow(run, schema)
+    return placed.mapInArrow(tidy(run), schema)
 
 
 def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from veilmatch.llm.common import table
+from veilmatch.llm.common import table, tidy
 
 # The base patterns and their least lengths.
 ASSIGN = re.compile(r"(password|passwd|secret|token|api_?key)[\"']?\x20*[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)", re.IGNORECASE | re.ASCII)
@@ -128,7 +128,7 @@ def scan(docs: DataFrame, doc: str = "doc_id", text: str = "text") -> DataFrame:
                     names=["doc_id", "n_assign", "n_access", "n_hex", "n_linked", "base_sha256", "spans"],
                 )
 
-    return docs.select(F.col(doc).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text")).mapInArrow(run, fields)
+    return docs.select(F.col(doc).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text")).mapInArrow(tidy(run), fields)
 
 
 def redact(docs: DataFrame, text: str = "text", length: str | None = "n_chars", mark: str = "[secret]") -> DataFrame:
@@ -163,7 +163,7 @@ def redact(docs: DataFrame, text: str = "text", length: str | None = "n_chars",
                     columns[size] = pa.array([k if a is b else len(b) for k, a, b in zip(n, old, new)], part.schema.field(size).type)
                 yield pa.RecordBatch.from_arrays(columns, names=part.schema.names)
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidy(run), docs.schema)
 
 
 def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from veilmatch.llm.common import durable, table
+from veilmatch.llm.common import durable, table, tidy
 from veilmatch.llm.components import components
 
 BITS, HALVES, MOST = 64, 2, 3
@@ -88,7 +88,7 @@ def fingerprint_column(docs: DataFrame, text: str = "text", words: int = 3) -> D
                 prints = fingerprints_of(part.column(at).to_pylist(), words)
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(prints.view(np.int64))], names=[*part.schema.names, "fingerprint"])
 
-    return docs.drop("fingerprint").mapInArrow(run, schema.add("fingerprint", T.LongType(), False))
+    return docs.drop("fingerprint").mapInArrow(tidy(run), schema.add("fingerprint", T.LongType(), False))
 
 
 def index_key(fingerprint: Column, place: Column) -> Column:
@@ -176,7 +176,7 @@ def near_links(prints: DataFrame, most: int = MOST) -> DataFrame:
         yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
 
     spread = keyed.repartition("key").sortWithinPartitions("key")
-    found = spread.mapInArrow(run, "a long, b long")
+    found = spread.mapInArrow(tidy(run), "a long, b long")
     return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 

@@ -54,11 +54,13 @@ def repeated(held: Bucket, k: int) -> np.ndarray:
     heads = np.flatnonzero(new)
     several = np.zeros(len(heads), bool)
     for column in (held.ids, held.hashes, held.places):
-        several |= np.minimum.reduceat(column[order], heads) != np.maximum.reduceat(column[order], heads)
-    several |= np.logical_or.reduceat(held.many[order], heads)
+        values = column(order)
+        several |= np.minimum.reduceat(values, heads) != np.maximum.reduceat(values, heads)
+    known = held.many(order)
+    several |= np.logical_or.reduceat(known, heads)
     out = np.zeros(len(order), bool)
-    out[order] = several[np.cumsum(new) - 1]
-    return out & ~held.many
+    out[order] = several[np.cumsum(new) - 1] & ~known
+    return out
 
 
 def dedup_words(docs: DataFrame, doc: str = "doc_id", text: str = "text", k: int = WORDS, m: int = GRAM, keep_text: bool = True) -> DataFrame:

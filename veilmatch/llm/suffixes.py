@@ -93,15 +93,20 @@ class Suffixes:
 def later(held: Bucket, k: int) -> np.ndarray:
     """Windows whose content starts earlier, too."""
     out = np.zeros(len(held.windows), bool)
-    prints = mixed(held.s.hashes(held.windows, k))
-    ordered = np.sort(prints)
-    twice = np.unique(ordered[1:][ordered[1:] == ordered[:-1]])
-    if not len(twice):
+    # Prints above, places below: neighbours in that order with one print are all that can be equal.
+    low = np.uint64((1 << max(1, len(out).bit_length())) - 1)
+    prints = (mixed(held.s.hashes(held.windows, k)) & ~low) | np.arange(len(out), dtype=np.uint64)
+    prints.sort()
+    next_ = (prints[1:] ^ prints[:-1]) <= low
+    twice = np.zeros(len(out), bool)
+    twice[1:] = next_
+    twice[:-1] |= next_
+    some = np.sort((prints[twice] & low).astype(np.int64))
+    del prints, next_, twice
+    if not len(some):
         return out
-    at = np.minimum(np.searchsorted(twice, prints), len(twice) - 1)
-    some = np.flatnonzero(twice[at] == prints)
     # Document and place as one number; equal ones are one place met twice.
-    keys = (held.ids[some], held.hashes[some], held.places[some])
+    keys = (held.ids(some), held.hashes(some), held.places(some))
     by = np.lexsort(keys[::-1])
     step = np.zeros(len(some), bool)
     for c in keys:

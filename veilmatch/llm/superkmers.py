@@ -26,11 +26,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from veilmatch.llm.common import durable, released, text_bytes
+from veilmatch.llm.common import durable, give_back, released, text_bytes, tidy
 
 CHUNK = 1 << 21  # bytes of text that are handled at once
-BUCKET = 3 << 20  # bytes of super-k-mers that one bucket is to hold
-FINE = 10  # buckets that travel together and are worked through one by one
+BUCKET = 3 << 19  # bytes of super-k-mers that one bucket is to hold
+FINE = 20  # buckets that travel together and are worked through one by one
 HOT = 16_384  # super-k-mers of one minimiser from which its windows are sent singly
 NO_ID = -(1 << 63)
 BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
@@ -238,7 +238,7 @@ def hot_minimisers(plain: DataFrame, k: int, m: int, words: bool) -> np.ndarray:
         often = counts >= 8
         yield pa.RecordBatch.from_arrays([pa.array(values[often].astype(np.int64)), pa.array(counts[often])], names=["key", "n"])
 
-    found = plain.mapInArrow(count, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).where(F.col("n") >= HOT)
+    found = plain.mapInArrow(tidy(count), "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).where(F.col("n") >= HOT)
     return np.array(sorted(r["key"] for r in found.select("key").collect()), np.uint32)
 
 
@@ -299,7 +299,7 @@ def spread(plain: DataFrame, k: int, m: int, words: bool, buckets: int, hot: np.
             out_blob.append(codec.pack(spans.tobytes()))
         yield pa.RecordBatch.from_arrays([pa.array(out_bucket, pa.int32()), pa.array(out_blob, pa.binary())], names=["bucket", "blob"])
 
-    return plain.mapInArrow(run, "bucket int, blob binary")
+    return plain.mapInArrow(tidy(run), "bucket int, blob binary")
 
 
 @dataclass
@@ -308,10 +308,24 @@ class Bucket:
 
     s: Symbols
     windows: np.ndarray
-    ids: np.ndarray  # of each window
-    hashes: np.ndarray
-    places: np.ndarray
-    many: np.ndarray  # known to be repeated
+    string: np.ndarray  # super-k-mer of each window; the columns below have a row for each of those
+    doc: np.ndarray
+    text_hash: np.ndarray
+    place: np.ndarray
+    repeated: np.ndarray  # known to be repeated
+
+    def ids(self, at: np.ndarray) -> np.ndarray:
+        return self.doc[self.string[at]]
+
+    def hashes(self, at: np.ndarray) -> np.ndarray:
+        return self.text_hash[self.string[at]]
+
+    def places(self, at: np.ndarray) -> np.ndarray:
+        of = self.string[at]
+        return self.place[of] + self.windows[at] - self.s.ends[of]
+
+    def many(self, at: np.ndarray) -> np.ndarray:
+        return self.repeated[self.string[at]]
 
 
 def meet(codec: Codec, blobs: list[bytes], k: int, words: bool) -> Iterator[Bucket]:
@@ -327,9 +341,9 @@ def meet(codec: Codec, blobs: list[bytes], k: int, words: bool) -> Iterator[Buck
             continue
         s = (as_words if words else as_bytes)([joined[a:b] for a, b in zip(ends[own].tolist(), ends[own + 1].tolist())])
         n = np.diff(s.ends) - k + 1
-        inside = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-        each = lambda c: np.repeat(c[own], n)  # noqa: B023, E731
-        yield Bucket(s, np.repeat(s.ends[:-1], n) + inside, each(ids), each(hashes), each(places) + inside, each(many).astype(bool))
+        string = np.repeat(np.arange(len(own), dtype=np.int32), n)
+        windows = np.arange(len(string)) + (s.ends[:-1] - np.cumsum(n) + n)[string]
+        yield Bucket(s, windows, string, ids[own], hashes[own], places[own], many[own].astype(bool))
 
 
 def equal_windows(s: Symbols, a: np.ndarray, b: np.ndarray, k: int) -> np.ndarray:
@@ -378,19 +392,24 @@ def repeated_spans(
 
     def spans_of(held: Bucket) -> np.ndarray:
         hit = np.flatnonzero(settle(held, k))
+        ids, hashes, places = held.ids(hit), held.hashes(hit), held.places(hit)
         new = np.ones(len(hit), bool)
-        new[1:] = (np.diff(hit) != 1) | (np.diff(held.places[hit]) != 1) | (np.diff(held.ids[hit]) != 0) | (np.diff(held.hashes[hit]) != 0)
+        new[1:] = (np.diff(hit) != 1) | (np.diff(places) != 1) | (np.diff(ids) != 0) | (np.diff(hashes) != 0)
         head = np.flatnonzero(new)
         tail = np.concatenate((head[1:] - 1, [len(hit) - 1])) if len(hit) else head
-        return np.stack((held.ids[hit[head]], held.hashes[hit[head]], held.places[hit[head]], held.places[hit[tail]] + k))
+        return np.stack((ids[head], hashes[head], places[head], places[tail] + k))
 
     def run(group: pa.Table) -> pa.Table:
         codec = Codec(beginning)
-        if group["bucket"][0].as_py() < 0:
-            spans = np.concatenate([np.frombuffer(codec.unpack(b), np.int64).reshape(4, -1) for b in group["blob"].to_pylist()], axis=1)
-        else:
+        met = group["bucket"][0].as_py() >= 0
+        if met:
             spans = np.concatenate([spans_of(held) for held in meet(codec, group["blob"].to_pylist(), k, words)], axis=1)
-        return pa.table({n: pa.array(c) for n, c in zip(("doc_id", "text_hash", "begin", "end"), spans)})
+        else:
+            spans = np.concatenate([np.frombuffer(codec.unpack(b), np.int64).reshape(4, -1) for b in group["blob"].to_pylist()], axis=1)
+        out = pa.table({n: pa.array(c) for n, c in zip(("doc_id", "text_hash", "begin", "end"), spans)})
+        if met:
+            give_back()
+        return out
 
     found = sent.groupBy("bucket").applyInArrow(run, "doc_id long, text_hash long, begin long, end long")
     return durable(found.groupBy("doc_id", "text_hash").agg(F.collect_list(F.struct("begin", "end")).alias("spans")))
@@ -426,9 +445,9 @@ def with_spans(docs: DataFrame, doc: Column, text: Column, spans: DataFrame, cut
     schema = T.StructType([T.StructField("doc_id", T.LongType())] + T._parse_datatype_string(fields).fields)
     names = schema.fieldNames()
     kinds = [{"bigint": pa.int64(), "string": pa.string(), "binary": pa.binary()}[f.dataType.simpleString()] for f in schema.fields[1:]]
-    packed = keyed.mapInArrow(pack, "doc_id long, text_hash long, _id long, packed binary")
+    packed = keyed.mapInArrow(tidy(pack), "doc_id long, text_hash long, _id long, packed binary")
     joined = packed.join(spans.withColumnRenamed("doc_id", "_id"), ["_id", "text_hash"], "left")
-    return joined.select("doc_id", "packed", "spans").mapInArrow(run, schema)
+    return joined.select("doc_id", "packed", "spans").mapInArrow(tidy(run), schema)
 
 
 def merged(begins: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
