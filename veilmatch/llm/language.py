@@ -6,7 +6,7 @@ priors are smoothed along a hierarchy, host to suffix to all documents, and come
 counts over all documents. What a declaration is worth is counted, too: how often each
 declared value goes with each language that the text shows.
 
-The trigram models are fitted on at most ``TRAIN_ROWS`` labelled rows a language, chosen by a hash
+Every label of the table is a language. The trigram models are fitted on at most ``TRAIN_ROWS`` labelled rows of each, chosen by a hash
 of the id; every other count covers all rows. A further model, uniform over trigrams, stands for
 texts of no known language. A document is accepted if it has a letter, its text is more likely
 under the chosen language than under the uniform model, and its posterior reaches ``LEAST``.
@@ -31,8 +31,6 @@ from pyspark.sql import types as T
 from veilmatch.llm.common import durable, table, tidy
 
 TRAIN_ROWS = 2000  # labelled rows a language that the text models are fitted on, at most
-LANGUAGES = 64  # labels with most rows that get a model
-LEAST_ROWS = 5  # labelled rows that make a label a language
 BINS = 1 << 15  # hashed byte trigrams
 WEIGHT = 5000  # trigrams that one training text counts for, at most
 TEMPER = 0.25  # neighbouring trigrams are not independent
@@ -62,9 +60,9 @@ def _bins(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 
 def known_languages(docs: DataFrame, label: str) -> list[tuple[str, int]]:
-    """Labels with most rows and their counts, at most LANGUAGES."""
-    counts = docs.where(F.col(label).isNotNull()).groupBy(F.col(label).alias("label")).count().where(F.col("count") >= LEAST_ROWS)
-    return sorted(((r["label"], r["count"]) for r in counts.orderBy(F.desc("count"), "label").limit(LANGUAGES).collect()))
+    """All labels and their counts; each costs a model of BINS numbers in every task."""
+    counts = docs.where(F.col(label).isNotNull()).groupBy(F.col(label).alias("label")).count()
+    return sorted((r["label"], r["count"]) for r in counts.collect())
 
 
 def fit(docs: DataFrame, doc: str, text: str, label: str) -> tuple[list[str], np.ndarray]:
@@ -102,7 +100,7 @@ def text_scores(docs: DataFrame, text: str, model: tuple[list[str], np.ndarray])
     held = docs.drop(*ADDED)
     schema = T.StructType([*held.schema.fields]).add("text_scores", T.ArrayType(T.DoubleType())).add("letters", T.LongType())
     at = held.columns.index(text)
-    sent = held.sparkSession.sparkContext.broadcast(logs)  # LANGUAGES x BINS numbers at most
+    sent = held.sparkSession.sparkContext.broadcast(logs)  # languages x BINS numbers
     none = -math.log(BINS)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -205,11 +203,11 @@ def identify(docs: DataFrame, doc: str = "doc_id", text: str = "text", label: st
     if not names:
         out = docs.select("*", F.lit(None).cast("array<double>").alias("text_scores"), F.lit(0).cast("long").alias("letters"), *[F.lit(None).cast("string").alias(c) for c in ("text_lang", "predicted")], F.lit(0.0).alias("posterior"), F.lit(False).alias("accepted"))
         return out if keep_text else out.drop(text)
-    slim = text_scores(docs, text, model).drop(text)
-    if not keep_text:
-        slim = durable(slim)
-    priors, odds = evidence(slim, names, declared, address)
-    return fuse(text_scores(docs, text, model) if keep_text else slim, names, durable(priors), odds, declared, address)
+    scored = text_scores(docs, text, model)
+    # Texts are scored once; counts and the posterior read what that left.
+    scored = durable(scored if keep_text else scored.drop(text))
+    priors, odds = evidence(scored, names, declared, address)
+    return fuse(scored, names, durable(priors), odds, declared, address)
 
 
 def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
