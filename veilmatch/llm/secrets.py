@@ -6,7 +6,8 @@ secret keys, identifiers of 16 to 24 upper-case characters and digits, and servi
 Weak parts are reported only where complementary parts stand within one scope: a possible key
 with an identifier (strong or weak) or an endpoint that carries a strong part; an endpoint or a
 weak identifier with a key or a strong part. A scope is a stretch of ``scope`` code points around a part that
-no blank line cuts. Parts are linked by a sweep over their intervals, sorted by start.
+no blank line cuts. Parts are linked by an interval join: of each wanted kind the nearest interval that ends
+before a part, and the nearest that begins behind it, are looked up in sorted places, so no part is passed over.
 
 A document is the widest scope, so linking needs no exchange: each task reads whole texts and
 emits spans. Positions are code points, ends exclusive. Defined cases: a null text is empty and
@@ -70,29 +71,30 @@ def linked_spans(text: str, base: list[tuple[int, int, str]], scope: int = SCOPE
     if not weak or not base and len({k for _, _, k in weak}) < 2:
         return []
     gaps = [m.start() for m in GAP.finditer(text)]
-    # Each part belongs to one block between blank lines.
-    parts = sorted((s, e, k, bisect.bisect_right(gaps, s)) for s, e, k in [*base, *weak])
-    ident, secret, end = {"access", "ident"}, {"key", "assign", "hex"}, {"endpoint"}
-    wants = {"key": ident | end, "ident": secret, "endpoint": secret | {"access"}}
-    # The last part of each kind before a part and the first behind it: nearest complements in one sweep each way.
-    good: set[tuple[int, int, str]] = set()
-    for order, toward in ((parts, 1), (parts[::-1], -1)):
-        last: dict[str, list[tuple[int, int, str, int]]] = {}
-        for s, e, k, block in order:
-            for other in wants.get(k, ()):
-                for o in last.get(other, ()):
-                    apart = s - o[1] if toward > 0 else o[0] - e
-                    if o[3] == block and apart <= scope and (o[1] <= s or e <= o[0]):
-                        good.add((s, e, k))
-                        break
-            near = last.setdefault(k, [])
-            near.insert(0, (s, e, k, block))
-            del near[2:]  # the nearest two: one may overlap the part that asks
+    # Each part belongs to one block between blank lines; intervals of a kind are asked by their starts and by their ends.
+    starts: dict[tuple[str, int], list[int]] = {}
+    ends: dict[tuple[str, int], list[int]] = {}
+    for s, e, k in [*base, *weak]:
+        at = (k, bisect.bisect_right(gaps, s))
+        starts.setdefault(at, []).append(s)
+        ends.setdefault(at, []).append(e)
+    for places in (*starts.values(), *ends.values()):
+        places.sort()
+
+    def beside(s: int, e: int, at: tuple[str, int]) -> bool:
+        """Whether an interval of that kind and block ends in scope before s or begins in scope behind e."""
+        before, behind = ends.get(at, []), starts.get(at, [])
+        i, j = bisect.bisect_right(before, s) - 1, bisect.bisect_left(behind, e)
+        return i >= 0 and s - before[i] <= scope or j < len(behind) and behind[j] - e <= scope
+
+    ident, secret, end = ("access", "ident"), ("key", "assign", "hex"), ("endpoint",)
+    wants = {"key": ident + end, "ident": secret, "endpoint": (*secret, "access")}
+    good = [(s, e, k) for s, e, k in weak if any(beside(s, e, (other, bisect.bisect_right(gaps, s))) for other in wants[k])]
     taken = sorted((s, e) for s, e, _ in base)
-    starts = [s for s, _ in taken]
+    begins = [s for s, _ in taken]
     out = []
     for s, e, k in good:
-        i = bisect.bisect_right(starts, s) - 1
+        i = bisect.bisect_right(begins, s) - 1
         inside = i >= 0 and taken[i][1] >= e
         if not inside:
             out.append((s, e, k))
