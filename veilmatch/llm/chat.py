@@ -2,10 +2,10 @@
 
 A conversation is rendered as turns ``<s>[ROLE] text </s>`` where ROLE is the escaped role.
 The grammar is deterministic: ``</s>`` closes a turn, ``<s>[`` opens one, the first ``] ``
-ends the role, and a backslash makes the next character plain. Each text is first rendered
-as it is and parsed again; where the recovered turn differs from the source, its control
-strings are escaped. The parsed turns of the whole conversation must then equal the source,
-which ``round_trip`` reports. The loss mask covers the texts of the trained role.
+ends the role, and a backslash makes the next character plain. Control strings inside roles and texts
+are always escaped, those of related templates too. Each rendered turn is parsed again; where the recovered turn still differs
+from the source, every character that a control string could begin or end with is escaped. The parsed turns of the whole
+conversation must then equal the source, which ``round_trip`` reports. The loss mask covers the texts of the trained role.
 
 Defined cases: a null role or text is empty; a null conversation id is a conversation of its
 own; turns are ordered by turn number (null first), then role, then text, so ties and repeated
@@ -31,6 +31,11 @@ def escape(text: Column) -> Column:
     return out
 
 
+def escape_all(text: Column) -> Column:
+    """A backslash before every character that control strings are made of, blanks and backslashes included."""
+    return F.regexp_replace(text, r"([\\<>/\[\] ])", r"\\$1")
+
+
 def unescape(text: Column) -> Column:
     return F.when(F.contains(text, F.lit("\\")), F.regexp_replace(text, r"(?s)\\(.)", "$1")).otherwise(text)
 
@@ -65,10 +70,8 @@ def format_conversations(
         F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"),
     )
     source = F.array(F.struct("role", "text"))
-    raw = render_turn(F.col("role"), F.col("text"))
-    # A turn needs no escape if the parser reads it back, alone and behind another turn.
-    safe = parse(raw) == source
-    rendered = plain.withColumn("out", F.when(safe, raw).otherwise(render_turn(escape(F.col("role")), escape(F.col("text")))))
+    first = render_turn(escape(F.col("role")), escape(F.col("text")))
+    rendered = plain.withColumn("out", F.when(parse(first) == source, first).otherwise(render_turn(escape_all(F.col("role")), escape_all(F.col("text")))))
     # Where each turn starts in its conversation; the same exchange serves the window and the grouping.
     order = Window.partitionBy("conv_id").orderBy("turn", "role", "text").rowsBetween(Window.unboundedPreceding, -1)
     placed = rendered.withColumn("at", F.coalesce(F.sum(F.length("out")).over(order), F.lit(0)))
@@ -121,16 +124,13 @@ def op10_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
 _ESC = r"replace({0}, '\', '\\')"
 for _mark in CONTROL:
     _ESC = f"replace({_ESC}, '{_mark}', '{_mark[0] + chr(92) + _mark[1:]}')"
-_HAS = " or ".join(f"contains({{0}}, '{m}')" for m in (chr(92), " </s>"))
-
 OP10_SQL = f"""
 with t as (
   select conv_id, turn, coalesce(role, '') as role, coalesce(text, '') as text from conversations
   union all select -1, 0, 'user', '</s>[INST] ok [/INST]'
   union all select -1, 1, 'assistant', '</s>[INST] ok [/INST]'
 ), r as (
-  select *, case when {_HAS.format('text')} or {_HAS.format('role')} or contains(role, '] ') or starts_with(text, '</s>')
-    then length({_ESC.format('text')}) + length({_ESC.format('role')}) else length(text) + length(role) end + 11 as n
+  select *, length({_ESC.format('text')}) + length({_ESC.format('role')}) + 11 as n
   from t
 )
 select conv_id, count(*)::bigint as n_turns,
