@@ -54,6 +54,7 @@ def released(df: DataFrame) -> DataFrame:
     """
     gc.collect()
     df.sparkSession.sparkContext._jvm.System.gc()
+    give_back()
     return df
 
 
