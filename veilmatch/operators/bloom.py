@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -31,15 +33,14 @@ def encode(encoded: DataFrame, m: int = BITS, k: int = HASHES) -> DataFrame:
     return out.select("*", *[F.col("_n")[i].alias(f"n{i}") for i in range(words)], *[F.col("_c")[i].alias(f"c{i}") for i in range(words)]).drop("_n", "_c")
 
 
-def best_partners(x: DataFrame, y: DataFrame, m: int = BITS, k: int = HASHES, **how) -> DataFrame:
-    """Best partners by filters; den stays below 2**40, so its order needs no more than a window over quotients."""
+#: The default weights by their common divisor: the same scores, and denominators that stay below 2**31 with counts of filter bits.
+WEIGHTS = {f: w // math.gcd(*score.WEIGHTS.values()) for f, w in score.WEIGHTS.items()}
+
+
+def best_partners(x: DataFrame, y: DataFrame, m: int = BITS, k: int = HASHES, weights: dict[str, int] = WEIGHTS, **how) -> DataFrame:
+    """(x_id, y_id, num, den, score_ppm): best partners by filters, in exact order."""
     words = -(-m // 64)
-    paired = match.pairs(encode(x, m, k), encode(y, m, k))
-    num, den = score.score_fraction(parts=score.fractions((words, words)), **how)
-    rows = paired.select(F.col("x_rec_id").alias("x_id"), F.col("y_rec_id").alias("y_id"), num.alias("num"), den.alias("den")).where("den is not null")
-    ppm = F.call_function("div", F.col("num") * score.PPM, F.col("den"))
-    top = rows.groupBy("x_id").agg(F.max(ppm * F.lit(1_000_000_000) + (F.lit(999_999_999) - F.col("y_id"))).alias("top"))
-    return top.select("x_id", (F.lit(999_999_999) - F.col("top") % 1_000_000_000).alias("y_id"), F.call_function("div", F.col("top"), F.lit(1_000_000_000)).alias("num"), F.lit(score.PPM).cast("long").alias("den"))
+    return match.best_partners(encode(x, m, k), encode(y, m, k), weights=weights, parts=score.fractions((words, words)), **how)
 
 
 def distortion(pairs: DataFrame, m: int = BITS, k: int = HASHES) -> DataFrame:

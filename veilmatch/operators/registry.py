@@ -61,6 +61,7 @@ def original_sql(d: str, customer: str, pools: tuple[str, str, str]) -> str:
 
     given, family, cities = pools
     place = f"(8 * c_nationkey + {h(d, 'place', 'c_custkey')} % 8)"
+    # A day of the year, all equally likely, becomes month and day by the lengths of the months in that year.
     years = div(d, f"80 * ({h(d, 'year1', 'c_custkey')} % 65536 + {h(d, 'year2', 'c_custkey')} % 65536)", "131072")
     return f"""
 select k.entity, g.word as first_name, f.word as last_name, b.word as birth_name, c.word as city,
@@ -96,6 +97,7 @@ def corrupted_sql(d: str, rows: str, copy: str) -> str:
         ]
         return f"case when act_{a} = 0 or {a} is null then {a} " + " ".join(f"when kind_{a} = {k} then {f}" for k, f in enumerate(forms)) + " end"
 
+    # Of rows whose date can be turned (both parts at most 12) the names and the date are shuffled in equal shares; of others the names.
     shuffle = h(d, f"shuffle|{copy}", "entity")
     blank = f"{h(d, f'nobirth|{copy}', 'entity')} % 1000 < 600"
     return f"""
@@ -103,7 +105,7 @@ select entity, case when names = 1 then last_name else first_name end as first_n
   case when dates = 1 then birth_day else birth_month end as birth_month, case when dates = 1 then birth_month else birth_day end as birth_day, n_errors, kinds, names + dates as shuffled
 from (select entity, {', '.join(f'{dirty(a)} as {a}' for a in ATTRIBUTES)}, {' + '.join(f'act_{a}' for a in ATTRIBUTES)} as n_errors,
     concat({", ".join(f"case when act_{a} = 1 then concat('{a}:', cast(kind_{a} as varchar(9)), ' ') else '' end" for a in ATTRIBUTES)}) as kinds,
-    case when shuf < 50 then 1 else 0 end as names, case when shuf between 50 and 99 and birth_day <= 12 then 1 else 0 end as dates
+    case when shuf < 50 or (shuf < 100 and coalesce(birth_day, 31) > 12) then 1 else 0 end as names, case when shuf between 50 and 99 and birth_day <= 12 then 1 else 0 end as dates
   from (select *, {', '.join(acts)}
     from (select entity, first_name, last_name, case when {blank} then null else birth_name end as birth_name, city, postcode, birth_year, birth_month, birth_day,
       {flags}, {kinds}, {shuffle} % 1000 as shuf from {rows}) z) y) x"""

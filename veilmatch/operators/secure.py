@@ -1,19 +1,25 @@
 """Private linkage: the clear method on shares.
 
-Owners encode and split; nothing of a registry leaves them in the clear. Blocks of X and of Y
-meet; in each the shared scores of all pairs are formed without a division and a tournament
-leaves one shared champion for every x; champions of several blocks play on; a gate replaces the id of a score
-that does not pass by zero; and only that is opened. This runs in one application as a simulation for
-results and cost; it gives no privacy by itself.
+Owners encode and split; blocks of X and of Y meet; in each the shared scores of all pairs are formed without a
+division and a tournament leaves one shared champion for every x; champions of several blocks play
+on; a gate replaces the id of a score that does not pass by zero; and only that is opened.
+
+Scale: both sides are cut into blocks of ``block`` records in the order of their ids, from counts of id
+ranges, and every two blocks meet in one task of bounded size. A record's masked maps are opened
+once, whatever the number of blocks. This runs in one application as a simulation for results and cost:
+a task plays all three parties, so it gives no privacy by itself. ``shares`` has the frames that real parties would hold.
+
+Defined cases: a record without any field has no partner; ties fall to the smaller id; an empty side gives no rows.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import secrets as fresh
+from collections.abc import Callable
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from veilmatch.functions.text import MAP
@@ -21,75 +27,100 @@ from veilmatch.operators import mpc, score
 
 U = np.uint64
 BLOCK = 256  # records a side
-LEDGER = "step string, src int, dst int, phase string, n_words long, n_bytes long, n_rounds long"
+RANGES = 1 << 14  # id ranges that are counted
+MESSAGE = "array<struct<step: string, src: int, dst: int, phase: string, n_bytes: long, n_rounds: long>>"
+CHAMPION = f"x_id long, xb int, yb int, num0 long, num1 long, den0 long, den1 long, id0 long, id1 long, messages {MESSAGE}"
+LINK = f"x_id long, y_id long, num long, den long, messages {MESSAGE}"
+CARRIED = ("rec_id", *[f"{f}_{p}" for f in score.TEXTS for p in ("pos", "card", "delta")], *score.CODES, *[f"{f}_delta" for f in score.CODES])
+
 
+def new_key() -> str:
+    """A session key that no other run has."""
+    return fresh.token_hex(16)
 
-def dense(positions: pd.Series) -> np.ndarray:
-    out = np.zeros((len(positions), MAP), U)
+
+def dense(positions: pd.Series, places: int) -> np.ndarray:
+    out = np.zeros((len(positions), places), U)
     for i, p in enumerate(positions):
         if p is not None and len(p):
             out[i, np.asarray(p)] = 1
     return out
 
 
-def prepared(session: mpc.Session, rows: pd.DataFrame) -> dict[str, mpc.Shared]:
-    """An owner's shares of one block."""
-    out = {"id": session.split(rows["rec_id"].to_numpy().astype(U))}
+def prepared(session: mpc.Session, rows: pd.DataFrame, name: str, places: int = MAP) -> dict[str, mpc.Shared]:
+    """An owner's shares of one block; the name makes them the same wherever the block goes."""
+    split = lambda part, v: session.split(np.asarray(v).astype(U), f"{name}/{part}")
+    out = {"id": split("id", rows["rec_id"])}
     for f in score.TEXTS:
-        out[f] = session.split(dense(rows[f"{f}_pos"]))
-        out[f"{f}_card"] = session.split(np.maximum(rows[f"{f}_card"].to_numpy(), 1).astype(U))
-        out[f"{f}_delta"] = session.split(rows[f"{f}_delta"].to_numpy().astype(U))
+        out[f] = split(f, dense(rows[f"{f}_pos"], places))
+        out[f"{f}_card"] = split(f"{f}_card", np.maximum(rows[f"{f}_card"], 1))
+    out["name_delta"] = split("name_delta", rows["name_delta"])
+    for f in ("city", *score.CODES):
+        out[f"{f}_has"] = split(f"{f}_has", rows[f"{f}_delta"] > 0)
     for f in score.CODES:
-        out[f] = session.split(rows[f].fillna(0).to_numpy().astype(U))
-        out[f"{f}_has"] = session.split((rows[f"{f}_delta"].to_numpy() > 0).astype(U))
+        out[f"{f}_code"] = split(f"{f}_code", rows[f].fillna(0).astype(np.int64))
     return out
 
 
-def _cross(x: mpc.Shared, y: mpc.Shared) -> tuple[mpc.Shared, mpc.Shared]:
-    return (x[0][:, None], x[1][:, None]), (y[0][None, :], y[1][None, :])
+def _crossed(x: dict, y: dict, names: list[str], shape: tuple[int, int]) -> tuple[mpc.Shared, mpc.Shared]:
+    """The named columns of every pair, one above the other."""
+    wide = lambda side, at: mpc.stacked(*[tuple(np.broadcast_to(p[at], shape) for p in side[n]) for n in names])
+    return wide(x, (slice(None), None)), wide(y, (None, slice(None)))
 
 
-def _wide(a: mpc.Shared, shape: tuple[int, int]) -> mpc.Shared:
-    return tuple(np.broadcast_to(p, shape).copy() for p in a)
+def dice_fractions(s: mpc.Session, x: dict, y: dict, names: tuple[str, str] = ("x", "y"), first: tuple[bool, bool] = (True, True)) -> dict[str, tuple[mpc.Shared, mpc.Shared]]:
+    """Shared (2 |A and B|, |A| + |B|) of each text field, all openings in one round."""
+    s.step = "dice"
+    shape, out = (len(x["id"][0]), len(y["id"][0])), {}
+    for f in score.TEXTS:
+        common = s.gram(x[f], y[f], (f"{names[0]}/{f}", f"{names[1]}/{f}"), first)
+        a, b = _crossed(x, y, [f"{f}_card"], shape)
+        out[f] = mpc.scale(common, 2), mpc.each(mpc.add(a, b))[0]
+    s.rounds["dice"] = 1  # the openings of the fields do not wait for one another
+    return out
 
 
-def pair_scores(s: mpc.Session, x: dict, y: dict, weights: dict[str, int]) -> tuple[mpc.Shared, mpc.Shared]:
+def pair_scores(s: mpc.Session, x: dict, y: dict, weights: dict[str, int], names: tuple[str, str] = ("x", "y"), first: tuple[bool, bool] = (True, True)) -> tuple[mpc.Shared, mpc.Shared]:
     """Shared (num, den) of all pairs of a block; den is 0 where nothing can be compared."""
     shape = (len(x["id"][0]), len(y["id"][0]))
-    frac, delta = {}, {}
-    for f in score.TEXTS:
-        s.step = "dice"
-        frac[f] = mpc.scale(s.gram(x[f], y[f]), 2), mpc.add(*(_wide(p, shape) for p in _cross(x[f"{f}_card"], y[f"{f}_card"])))
-        s.step = "completeness"
-        a, b = (_wide(p, shape) for p in _cross(x[f"{f}_delta"], y[f"{f}_delta"]))
-        delta[f] = mpc.scale(s.select(s.greater(a, b), b, a), weights[f])
+    frac = dice_fractions(s, x, y, names, first)
+    s.step = "completeness"
+    a, b = (mpc.each(v)[0] for v in _crossed(x, y, ["name_delta"], shape))
+    dn = mpc.scale(s.select(s.greater(a, b), b, a), weights["name"])
+    both = mpc.each(s.multiply(*_crossed(x, y, [f"{f}_has" for f in ("city", *score.CODES)], shape)))
+    s.rounds["completeness"] = 4  # the products go along with the comparison
+    dc, both = mpc.scale(both[0], 100 * weights["city"]), both[1:]
     s.step = "equality"
+    equal = s.equal(*_crossed(x, y, [f"{f}_code" for f in score.CODES], shape))
+    same = mpc.each(s.multiply(equal, mpc.stacked(*both)))
     agree = have = (np.zeros(shape, U), np.zeros(shape, U))
-    for f in score.CODES:
-        a, b = (_wide(p, shape) for p in _cross(x[f], y[f]))
-        both = s.multiply(*_cross(x[f"{f}_has"], y[f"{f}_has"]))
-        agree = mpc.add(agree, mpc.scale(s.multiply(s.equal(a, b), both), 100 * weights[f]))
-        have = mpc.add(have, mpc.scale(both, 100 * weights[f]))
+    for f, e, h in zip(score.CODES, same, both):
+        agree, have = mpc.add(agree, mpc.scale(e, 100 * weights[f])), mpc.add(have, mpc.scale(h, 100 * weights[f]))
     s.step = "score"
     (a, b), (c, e) = frac["name"], frac["city"]
-    be = s.multiply(b, e)
-    num = mpc.add(mpc.add(s.multiply(delta["name"], s.multiply(a, e)), s.multiply(delta["city"], s.multiply(c, b))), s.multiply(agree, be))
-    return num, s.multiply(mpc.add(mpc.add(delta["name"], delta["city"]), have), be)
+    be, ae, cb = mpc.each(s.multiply(mpc.stacked(b, a, c), mpc.stacked(e, e, b)))
+    total = mpc.add(mpc.add(dn, dc), have)
+    n1, n2, n3, den = mpc.each(s.multiply(mpc.stacked(dn, dc, agree, total), mpc.stacked(ae, cb, be, be)))
+    return mpc.add(mpc.add(n1, n2), n3), den
 
 
 def keep_larger(s: mpc.Session, left: tuple, right: tuple) -> tuple:
-    """(num, den, id) of the larger score; the left one on ties. A score without denominator counts as zero."""
-    bit = s.greater(s.multiply(right[0], left[1]), s.multiply(left[0], right[1]))
-    stacked = [tuple(np.stack([v[p] for v in side]) for p in (0, 1)) for side in (right, left)]
-    out = s.select(tuple(np.broadcast_to(p, stacked[0][0].shape) for p in bit), *stacked)
-    return tuple((out[0][i], out[1][i]) for i in range(3))
+    """(num, den, id) of the larger score; the left one on ties. Five rounds."""
+    a, b = mpc.each(s.multiply(mpc.stacked(right[0], left[0]), mpc.stacked(left[1], right[1])))
+    bit = s.greater(a, b)
+    held, other = mpc.stacked(*left), mpc.stacked(*right)
+    return tuple(mpc.each(s.select(tuple(np.broadcast_to(p, held[0].shape) for p in bit), other, held)))
+
+
+def guarded(s: mpc.Session, den: mpc.Shared) -> mpc.Shared:
+    """1 instead of 0, so that a pair that cannot be compared scores 0 / 1."""
+    s.step = "guard"
+    return mpc.add(den, s.equal(den, (np.zeros_like(den[0]), np.zeros_like(den[0]))))
 
 
 def tournament(s: mpc.Session, num: mpc.Shared, den: mpc.Shared, ids: mpc.Shared, order: str = "tree") -> tuple:
-    """The best column of each row, in ceil(log2 m) levels, or one after the other."""
+    """The best column of each row, in ceil(log2 m) levels, or one after the other; dens are not 0."""
     s.step = "tournament"
-    # (0, 1) instead of a pair that cannot be compared: den + [den = 0].
-    den = mpc.add(den, s.equal(den, (np.zeros_like(den[0]), np.zeros_like(den[0]))))
     players = tuple(tuple(np.ascontiguousarray(p) for p in v) for v in (num, den, ids))
     take = lambda v, at: tuple((a[:, at], b[:, at]) for a, b in v)
     if order == "scan":
@@ -106,77 +137,185 @@ def tournament(s: mpc.Session, num: mpc.Shared, den: mpc.Shared, ids: mpc.Shared
     return tuple((a[:, 0], b[:, 0]) for a, b in players)
 
 
+def gated(s: mpc.Session, won: tuple, tau_bp: int) -> tuple:
+    """The winner, its id zero where the score does not pass."""
+    s.step = "gate"
+    num, den, ids = won
+    return num, den, s.multiply(s.greater(mpc.scale(num, 10_000), mpc.scale(den, tau_bp)), ids)
+
+
 def _signed(a: np.ndarray) -> np.ndarray:
     return np.ascontiguousarray(a).view(np.int64)
 
 
-CHAMPION = "x_id long, block int, num0 long, num1 long, den0 long, den1 long, id0 long, id1 long, ledger array<struct<step: string, src: int, dst: int, phase: string, n_words: long, n_bytes: long, n_rounds: long>>"
+def _messages(s: mpc.Session, n: int) -> list[list[dict]]:
+    """The ledger beside the first of n rows."""
+    held = [dict(zip(("step", "src", "dst", "phase", "n_bytes", "n_rounds"), r)) for r in s.ledger()]
+    return [held] + [[]] * (n - 1)
 
 
-def champions(x: DataFrame, y: DataFrame, key: str, weights: dict[str, int] = score.WEIGHTS, order: str = "tree", block: int = BLOCK) -> DataFrame:
-    """Shared champion of every x in every block of Y; the first row of a block carries its ledger.
-
-    Blocks of Y follow the order of ids, so that ties fall to the smaller id within and across blocks.
-    """
-    def blocked(df: DataFrame, name: str) -> DataFrame:
-        from pyspark.sql import Window
+def blocked(df: DataFrame, prefix: str, size: int) -> tuple[DataFrame, int]:
+    """The carried columns under new names, with the number of each row's block in the order of ids; and how many blocks there are."""
+    out = df.select(*[F.col(c).alias(f"{prefix}_{c}") for c in CARRIED])
+    key = F.col(f"{prefix}_rec_id")
+    low, high, n = out.agg(F.min(key), F.max(key), F.count("*")).first()
+    if not n:
+        return out.withColumn(f"{prefix}b", F.lit(0)), 0
+    width = (high - low) // RANGES + 1
+    held = out.withColumn("_range", F.call_function("div", key - F.lit(low), F.lit(width)))
+    counts = held.groupBy("_range").agg(F.count("*").alias("_n"))  # at most RANGES rows: the window over them is small
+    before = counts.select("_range", (F.sum("_n").over(Window.orderBy("_range")) - F.col("_n")).alias("_before"))
+    place = F.col("_before") + F.row_number().over(Window.partitionBy("_range").orderBy(key)) - 1
+    numbered = held.join(F.broadcast(before), "_range").withColumn(f"{prefix}b", F.call_function("div", place, F.lit(size)).cast("int"))
+    return numbered.drop("_range", "_before"), -(-n // size)
 
-        return df.withColumn(name, F.floor((F.row_number().over(Window.orderBy("rec_id")) - 1) / block).cast("int"))
 
-    cols = ["rec_id", *[f"{f}_{p}" for f in score.TEXTS for p in ("pos", "card", "delta")], *score.CODES, *[f"{f}_delta" for f in score.CODES]]
-    xs, ys = blocked(x.select(*cols), "xb"), blocked(y.select(*cols), "yb")
-    n = {name: max(1, -(-df.count() // block)) for name, df in (("xb", xs), ("yb", ys))}
-    xs = xs.withColumn("yb", F.explode(F.sequence(F.lit(0), F.lit(n["yb"] - 1))))
-    ys = ys.withColumn("xb", F.explode(F.sequence(F.lit(0), F.lit(n["xb"] - 1))))
+def in_blocks(x: DataFrame, y: DataFrame, task: Callable, schema: str, size: int) -> DataFrame:
+    """``task`` (xb, yb, rows of x, rows of y) on every two blocks."""
+    (xs, nx), (ys, ny) = blocked(x, "x", size), blocked(y, "y", size)
+    xs = xs.withColumn("yb", F.explode(F.sequence(F.lit(0), F.lit(max(ny, 1) - 1))))
+    ys = ys.withColumn("xb", F.explode(F.sequence(F.lit(0), F.lit(max(nx, 1) - 1))))
+    columns = [f.split()[0] for f in schema.split(f", messages {MESSAGE}")[0].split(", ")] + (["messages"] if "messages" in schema else [])
 
     def run(group: tuple, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        left, right = left.sort_values("rec_id"), right.sort_values("rec_id")
         if left.empty or right.empty:
-            return pd.DataFrame(columns=["x_id", "block", "num0", "num1", "den0", "den1", "id0", "id1", "ledger"])
-        s = mpc.Session(key, f"{group[0]}/{group[1]}")
-        a, b = prepared(s, left), prepared(s, right)
-        num, den = pair_scores(s, a, b, weights)
+            return pd.DataFrame(columns=columns)
+        left, right = (v.rename(columns=lambda c: c[2:]).sort_values("rec_id") for v in (left, right))
+        return task(int(group[0]), int(group[1]), left, right)
+
+    return xs.groupBy("xb", "yb").cogroup(ys.groupBy("xb", "yb")).applyInPandas(run, schema)
+
+
+def champions(x: DataFrame, y: DataFrame, key: str, weights: dict[str, int] = score.WEIGHTS, order: str = "tree", block: int = BLOCK, places: int = MAP, offline: bool = False) -> DataFrame:
+    """Shared champion of every x in every block of Y; the first row of a block carries its messages."""
+
+    def task(xb: int, yb: int, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        s = mpc.Session(key, f"{xb}/{yb}", offline)
+        names = (f"x{xb}", f"y{yb}")
+        a, b = prepared(s, left, names[0], places), prepared(s, right, names[1], places)
+        num, den = pair_scores(s, a, b, weights, names, (yb == 0, xb == 0))
         ids = tuple(np.broadcast_to(p[None, :], num[0].shape) for p in b["id"])
-        won = tournament(s, num, den, ids, order)
+        won = tournament(s, num, guarded(s, den), ids, order)
         out = {f"{n}{p}": _signed(v[p]) for n, v in zip(("num", "den", "id"), won) for p in (0, 1)}
-        ledger = [dict(zip(("step", "src", "dst", "phase", "n_words", "n_bytes", "n_rounds"), r)) for r in s.ledger()]
-        return pd.DataFrame({"x_id": left["rec_id"].to_numpy(), "block": int(group[1]), **out, "ledger": [ledger] + [[]] * (len(left) - 1)})
+        return pd.DataFrame({"x_id": left["rec_id"].to_numpy(), "xb": xb, "yb": yb, **out, "messages": _messages(s, len(left))})
 
-    return xs.groupBy("xb", "yb").cogroup(ys.groupBy("xb", "yb")).applyInPandas(run, CHAMPION)
+    return in_blocks(x, y, task, CHAMPION, block)
 
 
-def link_all(x: DataFrame, y: DataFrame, tau_bp: int | None, key: str = "session", **how) -> DataFrame:
-    """(x_id, y_id, num, den): opened results; y_id is null where the score does not pass."""
+def links(x: DataFrame, y: DataFrame, tau_bp: int | None, key: str | None = None, block: int = BLOCK, offline: bool = False, **how) -> DataFrame:
+    """(x_id, y_id, num, den, messages): opened results of one session; y_id is null where the score does not pass.
+
+    The champions of a block of x meet in one task: block rows for each block of Y.
+    """
+    key = key or new_key()
 
     def final(group: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values("block")
-        s = mpc.Session(key, f"final/{group[0]}")
-        get = lambda n: tuple(rows[f"{n}{p}"].to_numpy().astype(np.int64).view(U)[None, :] for p in (0, 1))
+        rows = rows.sort_values(["x_id", "yb"])
+        x_ids, held = rows["x_id"].drop_duplicates().to_numpy(), [m for each in rows["messages"] for m in each]
+        s = mpc.Session(key, f"final/{group[0]}", offline)
+        get = lambda n: tuple(rows[f"{n}{p}"].to_numpy().astype(np.int64).view(U).reshape(len(x_ids), -1) for p in (0, 1))
         won = tournament(s, get("num"), get("den"), get("id"))
-        num, den, ids = won
+        s.rounds["final"] = s.rounds.pop("tournament", 0)
+        s.bytes_ = type(s.bytes_)(int, {("final" if k[0] == "tournament" else k[0], *k[1:]): v for k, v in s.bytes_.items()})
         if tau_bp is not None:
-            s.step = "gate"
-            ids = s.multiply(s.greater(mpc.scale(num, 10_000), mpc.scale(den, tau_bp)), ids)
-        y_id = int(mpc.reveal(ids)[0])
-        return pd.DataFrame({"x_id": [group[0]], "y_id": pd.array([y_id or None], "Int64"), "num": [int(mpc.reveal(num)[0])], "den": [int(mpc.reveal(den)[0])]})
+            won = gated(s, won, tau_bp)
+        num, den, ids = (_signed(mpc.reveal(v)) for v in won)
+        # Without a gate a score of zero still means that nothing could be compared, or that nothing agrees.
+        y_ids = pd.array([i or None for i in ids.tolist()], "Int64")
+        messages = _messages(s, len(x_ids))
+        messages[0] = messages[0] + [dict(m) for m in held]
+        return pd.DataFrame({"x_id": x_ids, "y_id": y_ids, "num": num, "den": den, "messages": messages})
 
-    return champions(x, y, key, **how).groupBy("x_id").applyInPandas(final, "x_id long, y_id long, num long, den long")
+    return champions(x, y, key, block=block, offline=offline, **how).groupBy("xb").applyInPandas(final, LINK)
 
 
-def traffic(x: DataFrame, y: DataFrame, key: str = "session", **how) -> DataFrame:
-    """Counted words by step, sender, receiver and phase."""
-    rows = champions(x, y, key, **how).select(F.explode("ledger").alias("m")).select("m.*")
-    return rows.groupBy("step", "src", "dst", "phase").agg(F.sum("n_words").alias("n_words"), F.sum("n_bytes").alias("n_bytes"), F.max("n_rounds").alias("n_rounds"))
+def link_all(x: DataFrame, y: DataFrame, tau_bp: int | None, **how) -> DataFrame:
+    """(x_id, y_id, num, den) of every x."""
+    return links(x, y, tau_bp, **how).drop("messages")
 
 
-def kernel(spark, values: DataFrame, what: str) -> DataFrame:
-    """A kernel on columns (id, a, b) of longs, opened: multiply, greater, equal, select or add."""
+def link_one(x: DataFrame, rec_id: int, y: DataFrame, tau_bp: int | None, **how) -> DataFrame:
+    """One record against a database."""
+    return link_all(x.where(F.col("rec_id") == rec_id), y, tau_bp, **how)
+
+
+def traffic(x: DataFrame, y: DataFrame, tau_bp: int | None = 7000, **how) -> DataFrame:
+    """(step, src, dst, phase, n_bytes, n_rounds): counted over all blocks; blocks work at one time, so rounds are the most of any."""
+    m = links(x, y, tau_bp, **how).select(F.explode("messages").alias("m")).select("m.*")
+    return m.groupBy("step", "src", "dst", "phase").agg(F.sum("n_bytes").alias("n_bytes"), F.max("n_rounds").cast("int").alias("n_rounds"))
+
+
+def opened_scores(x: DataFrame, y: DataFrame, key: str | None = None, weights: dict[str, int] = score.WEIGHTS, block: int = BLOCK) -> DataFrame:
+    """(x_id, y_id, num, den) of all pairs that can be compared, formed on shares and opened: for checks only."""
+    key = key or new_key()
+
+    def task(xb: int, yb: int, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        s = mpc.Session(key, f"{xb}/{yb}")
+        names = (f"x{xb}", f"y{yb}")
+        num, den = pair_scores(s, prepared(s, left, names[0]), prepared(s, right, names[1]), weights, names)
+        n, d = _signed(mpc.reveal(num)).ravel(), _signed(mpc.reveal(den)).ravel()
+        out = pd.DataFrame({"x_id": np.repeat(left["rec_id"].to_numpy(), len(right)), "y_id": np.tile(right["rec_id"].to_numpy(), len(left)), "num": n, "den": d})
+        return out[out["den"] > 0]
+
+    return in_blocks(x, y, task, "x_id long, y_id long, num long, den long", block)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for n, rows in enumerate(batches):
-            s = mpc.Session("kernel", f"{what}/{n}/{int(rows['id'].iloc[0]) if len(rows) else 0}")
-            a, b = (s.split(rows[c].to_numpy().astype(np.int64).view(U)) for c in "ab")
-            made = {"multiply": lambda: s.multiply(a, b), "greater": lambda: s.greater(a, b), "equal": lambda: s.equal(a, b), "select": lambda: s.select(s.greater(a, b), a, b), "add": lambda: mpc.add(a, b)}[what]()
-            yield pd.DataFrame({"id": rows["id"], "result": _signed(mpc.reveal(made)).astype(str)})
+
+def opened_dice(x: DataFrame, y: DataFrame, key: str | None = None, block: int = BLOCK) -> DataFrame:
+    """(x_id, y_id, name_num, name_den, city_num, city_den) of all pairs, formed on shares and opened: for checks only."""
+    key = key or new_key()
+
+    def task(xb: int, yb: int, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        s = mpc.Session(key, f"{xb}/{yb}")
+        names = (f"x{xb}", f"y{yb}")
+        frac = dice_fractions(s, prepared(s, left, names[0]), prepared(s, right, names[1]), names)
+        out = {"x_id": np.repeat(left["rec_id"].to_numpy(), len(right)), "y_id": np.tile(right["rec_id"].to_numpy(), len(left))}
+        for f, (n, d) in frac.items():
+            out |= {f"{f}_num": _signed(mpc.reveal(n)).ravel(), f"{f}_den": _signed(mpc.reveal(d)).ravel()}
+        return pd.DataFrame(out)
+
+    return in_blocks(x, y, task, "x_id long, y_id long, name_num long, name_den long, city_num long, city_den long", block)
+
+
+def and_counts(pairs: DataFrame, mode: str = "arith", key: str | None = None) -> DataFrame:
+    """(id, shared): |A and B| of position columns (id, a, b), the maps ANDed place by place on shares and then summed.
+
+    Modes: ``arith`` multiplies ring shares, ``bits`` ANDs packed words of XOR shares and turns the result's bits into ring
+    shares, ``fixed`` holds the first map of a batch against all second ones, its masked form opened once.
+    """
+    key = key or new_key()
+    words = -(-MAP // 64)
+
+    def run(batches):
+        for rows in batches:
+            for lo in range(0, len(rows), 512):
+                part = rows.iloc[lo : lo + 512]
+                s = mpc.Session(key, f"{mode}/{int(part['id'].iloc[0])}/{len(part)}")
+                a, b = dense(part["a"], MAP), dense(part["b"], MAP)
+                if mode == "bits":
+                    packed = lambda v: np.packbits(np.pad(v.astype(np.uint8), ((0, 0), (0, 64 * words - MAP))), axis=1, bitorder="little").view(U)
+                    both = s.both(s.split_bits(packed(a)), s.split_bits(packed(b)))
+                    bits = tuple(np.unpackbits(np.ascontiguousarray(v).view(np.uint8), axis=1, bitorder="little").astype(U) for v in both)
+                    found = s.to_ring(bits)
+                elif mode == "fixed":
+                    found = s.multiply_fixed(s.split(a[0]), s.split(b))
+                else:
+                    found = s.multiply(s.split(a), s.split(b))
+                yield pd.DataFrame({"id": part["id"], "shared": _signed(mpc.reveal(tuple(v.sum(axis=1, dtype=U) for v in found)))})
+
+    return pairs.mapInPandas(run, "id long, shared long")
+
+
+def kernel(values: DataFrame, what: str, key: str | None = None) -> DataFrame:
+    """A kernel on columns (id, a, b) of longs, opened: multiply, greater, equal, select or add."""
+    key = key or new_key()
+
+    def run(batches):
+        for rows in batches:
+            for lo in range(0, len(rows), 4096):
+                part = rows.iloc[lo : lo + 4096]
+                s = mpc.Session(key, f"{what}/{int(part['id'].iloc[0])}/{len(part)}")
+                a, b = (s.split(part[c].to_numpy().astype(np.int64).view(U)) for c in "ab")
+                made = {"multiply": lambda: s.multiply(a, b), "greater": lambda: s.greater(a, b), "equal": lambda: s.equal(a, b), "select": lambda: s.select(s.greater(a, b), a, b), "add": lambda: mpc.add(a, b)}[what]()  # noqa: B023
+                yield pd.DataFrame({"id": part["id"], "result": _signed(mpc.reveal(made)).astype(str)})
 
     return values.mapInPandas(run, "id long, result string")
