@@ -101,8 +101,8 @@ _BITS = f"list_sort(list_distinct(flatten(list_transform({{c}}, lambda p: list_t
 _BLOOM = (
     ("bx", f"select * exclude (np, cp), {_BITS.format(c='np')} as np, {_BITS.format(c='cp')} as cp from ex"),
     ("by_", f"select * exclude (np, cp), {_BITS.format(c='np')} as np, {_BITS.format(c='cp')} as cp from ey"),
-    ("sc", O.scores("bx", "by_")),
-    ("bp", "select x_id, y_id, num, 1000000 as den, num as score_ppm from (select *, row_number() over (partition by x_id order by num desc, y_id) as rank from (select x_id, y_id, (num * 1000000) // den as num from sc)) where rank = 1"),
+    ("sc", O.scores("bx", "by_", bloom.WEIGHTS)),
+    O.BEST,
 )
 
 
@@ -111,7 +111,7 @@ def bloom_bp(s, d):
 
 
 add("bloom_bits", lambda s, d: ex(s, d).select("rec_id", F.size(bloom.filter_positions(F.coalesce("name_pos", F.array().cast("array<int>")))).alias("bits")), O.query(f"select rec_id, len({_BITS.format(c='np')})::int as bits from ex"))
-add("bloom_best_partner", lambda s, d: bloom_bp(s, d), O.query("select x_id, y_id, num, den::bigint as den from bp", *_BLOOM))
+add("bloom_best_partner", lambda s, d: bloom_bp(s, d), O.query("select * from bp", *_BLOOM))
 add("bloom_error_sweep", lambda s, d: quality.sweep(bloom_bp(s, d), truth(s, d)), O.query(O.SWEEP.replace("{taus}", str(list(quality.TAUS))), *_BLOOM, O.JUDGED))
 add("bloom_roc_auc", lambda s, d: quality.auc(bloom_bp(s, d), truth(s, d)), O.query(SQL["roc_auc"][SQL["roc_auc"].rindex("select round(sum(case"):], *_BLOOM, O.JUDGED))
 add("bloom_exposure", lambda s, d: bloom.exposure(ex(s, d)), O.query(f"select same, count(*) as filters from (select count(*) as same from (select {_BITS.format(c='np')} as f, nd from ex) where nd > 0 group by f) group by same"))
@@ -144,7 +144,7 @@ add("weights_collision", lambda s, d: baselines.value_frequencies(Registry.of(s,
 add("weights_frequency", lambda s, d: baselines.frequency_weights(baselines.value_frequencies(Registry.of(s, d).left), baselines.field_error_rates(Registry.of(s, d).left, Registry.of(s, d).right, truth(s, d))).drop("scaled"), over_registry(f"select f.field, round(log2((1 - least(greatest(differ / n, 0.001), 0.999)) * distinct_values), 6) as weight from ({_FREQ}) f join ({_ERRORS}) e on f.field = e.field"))
 
 from veilmatch.functions import fields, text  # noqa: E402
-from veilmatch.operators import cost, secure  # noqa: E402
+from veilmatch.operators import cost  # noqa: E402
 from veilmatch.sources.tables import table  # noqa: E402
 from veilmatch.streaming import arrivals  # noqa: E402
 
@@ -203,38 +203,14 @@ def _link_one(s, d):
 
 add("padded_link_all", lambda s, d: match.accept(match.best_partners(ex(s, d), match.pad(ey(s, d), 12_000, 90_000_000)), TAU), SQL["link_all"])
 add("best_margin", lambda s, d: match.best_window(match.scored(match.pairs(ex(s, d), ey(s, d))), 2).groupBy("x_id").agg((F.max(score.ppm(F.col("num"), F.col("den"))) - F.min(score.ppm(F.col("num"), F.col("den")))).alias("margin_ppm")), O.query("select x_id, max(num * 1000000 // den) - min(num * 1000000 // den) as margin_ppm from (" + O.best("sc", 2) + ") group by x_id", O.SCORES))
-add("no_exact_copies", lambda s, d: Registry.of(s, d).side(0).join(Registry.of(s, d).side(1), list(ATTRIBUTES)).agg(F.count("*").alias("copies")), "select 0::bigint as copies")
+add("no_exact_copies", lambda s, d: Registry.of(s, d).side(0).join(Registry.of(s, d).side(1), list(ATTRIBUTES)).agg(F.count("*").alias("copies")), over_registry("select count(*) as copies from registry_left_ l join registry_right_ r on " + " and ".join(f"l.{a} = r.{a}" for a in ATTRIBUTES)))
 add("overlap_rate", lambda s, d: truth(s, d).agg(F.count("*").alias("shared")).crossJoin(ex(s, d).agg(F.count("*").alias("records"))), over_registry("select (select count(*) from truth_) as shared, (select count(*) from registry_left_) as records"))
 add("corruption_profile", lambda s, d: Registry.of(s, d).copy("l").groupBy("n_errors", "shuffled").agg(F.count("*").alias("n")), over_registry("select n_errors, shuffled, count(*) as n from copy_left group by all"))
 add("key_links", lambda s, d: Registry.of(s, d).side(0).join(Registry.of(s, d).side(1).select(F.col("rec_id").alias("y_id"), "entity"), "entity").select(F.col("rec_id").alias("x_id"), "y_id"), over_registry("select * from truth_"))
-# Private runs: the clear query is the oracle.
-_SMALL_X, _SMALL_Y = "x.rec_id < 10000060", "rec_id < 20000060"
-
-
-def small(s, d):
-    return ex(s, d).where("rec_id < 10000060"), ey(s, d).where(_SMALL_Y)
-
-
-_SECURE = O.query(f"select x_id, case when num * 10000 > den * {TAU} then y_id end as y_id, (num * 1000000) // den as score_ppm from ({O.best('sc')})", ("sc", O.scores("ex", "ey", where=f"{_SMALL_X} and y.{_SMALL_Y}")))
-add("secure_link_all_small", lambda s, d: secure.link_all(*small(s, d), TAU, block=25).select("x_id", "y_id", score.ppm(F.col("num"), F.col("den")).alias("score_ppm")), _SECURE)
-add("secure_best_scan", lambda s, d: secure.link_all(*small(s, d), TAU, order="scan", block=30).select("x_id", "y_id", score.ppm(F.col("num"), F.col("den")).alias("score_ppm")), _SECURE)
-add("traffic_by_step", lambda s, d: secure.traffic(*small(s, d), block=30).where("step = 'dice' and src = 0").select("step", "n_words", "n_bytes"), "select 'dice' as step, 2 * 4 * 60 * 900 as n_words, 8 * 2 * 4 * 60 * 900 as n_bytes")
-_LINE = "(select l_orderkey * 8 + l_linenumber as id, (l_partkey - 1000) * 7919 as a, (l_suppkey - 50) * 104729 as b from lineitem where l_orderkey < 500)"
-
-
-def ring(s, d):
-    rows = table(s, d, "lineitem").where("l_orderkey < 500")
-    return rows.select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).cast("long").alias("id"), ((F.col("l_partkey") - 1000) * 7919).cast("long").alias("a"), ((F.col("l_suppkey") - 50) * 104729).cast("long").alias("b"))
-
-
-for _what, _sql in (("multiply", "a * b"), ("greater", "(a > b)::int"), ("equal", "(a = b)::int"), ("select", "greatest(a, b)"), ("add", "a + b")):
-    add(f"secure_{_what}", lambda s, d, w=_what: secure.kernel(s, ring(s, d), w), f"select id, ({_sql})::varchar as result from {_LINE}")
 # Cost.
 _VALUES = lambda rows: ", ".join(str(r) for r in rows)
 add("published_speedups", lambda s, d: cost.speedups(s), f"select size, round(a2 / a3, 2)::double as a, round(b2 / b3, 2)::double as b, round(c2 / c3, 2)::double as c, round(m2 / m3, 2)::double as mb from (select col0 as size, col1::double as a2, col2::double as a3, col3::double as b2, col4::double as b3, col5::double as c2, col6::double as c3, col7::double as m2, col8::double as m3 from (values {_VALUES(cost.PUBLISHED)}))")
 add("published_error_totals", lambda s, d: cost.error_totals(s), f"select col0 as tau_bp, col1 + col2 as total_two, col3 + col4 as total_three from (values {_VALUES(cost.ERRORS)})")
-add("traffic_formula", lambda s, d: cost.map_words(s), f"select size, 3600 * (size + 1) as opened_words, 2 * size as dealt_words from (select unnest({list(cost.SIZES)}) as size)")
-add("modelled_seconds", lambda s, d: cost.modelled(s), f"select profile, size, round((40 + 10 * ceil(log2(size))) * lat / 1000 + ((3600 * (size + 1) + 2 * size) * 8.0 + size * 2200) * 8.0 / (bw * 1e6), 4) as seconds from (select unnest({list(cost.SIZES)}) as size), (select col0 as profile, max(col3)::double as lat, min(col4)::double as bw from (values {_VALUES(cost.PROFILES)}) group by 1)")
 add("storage_per_record", lambda s, d: cost.storage(ex(s, d)), over_registry("select n as records, n * 226 as packed_bytes, n * 14400 as share_bytes, n * 126 as filter_bytes from (select count(*) as n from registry_left_)"))
 # Relational operators on linkage results and native tables.
 add("ops_join_theta_year", lambda s, d: Registry.of(s, d).left.alias("l").join(Registry.of(s, d).right.alias("r"), F.expr("l.last_name = r.last_name and abs(l.birth_year - r.birth_year) <= 2")).select(F.col("l.rec_id").alias("x_id"), F.col("r.rec_id").alias("y_id")), over_registry("select l.rec_id as x_id, r.rec_id as y_id from registry_left_ l join registry_right_ r on l.last_name = r.last_name and abs(l.birth_year - r.birth_year) <= 2"))
@@ -267,3 +243,5 @@ for _name, _fraction in (("dice", fields.dice_fraction), ("jaccard", fields.jacc
     add(f"{_name}_part_pairs_all", lambda s, d, f=_fraction: all_part_pairs(s, d).select(*_ids(), f(F.col("a_pos"), F.col("b_pos")).alias("f")).select("a_id", "b_id", "f.num", "f.den", F.round(F.col("f.num") / F.col("f.den"), 6).alias("value")))
 add("levenshtein_part_pairs_all", lambda s, d: all_part_pairs(s, d).select(*_ids(), F.levenshtein("a_p_name", "b_p_name").alias("edits")))
 add("exact_similarity_all", lambda s, d: all_part_pairs(s, d).select(*_ids(), fields.equal_bit(F.col("a_p_size"), F.col("b_p_size")).alias("equal")))
+
+import veilmatch.plans.more  # noqa: E402, F401  registers the rest
