@@ -14,7 +14,7 @@ EMPTY = "rec_id long, owner string, first_name string, last_name string, birth_n
 @pytest.fixture(scope="module")
 def sides(spark, sf):
     r = Registry.of(spark, sf)
-    return score.encode(r.left).persist(), score.encode(r.right).persist()
+    return score.encode(r.left).where("rec_id < 10000040").persist(), score.encode(r.right).where("rec_id < 20000040").persist()
 
 
 def rows(df):
@@ -25,7 +25,7 @@ def clear(x, y, tau):
     return rows(match.link_all(x, y, tau))
 
 
-@pytest.mark.parametrize("order,block", [("tree", 33), ("scan", 50), ("tree", 256)])
+@pytest.mark.parametrize("order,block", [("tree", 13), ("scan", 256)])
 def test_private_run_equals_the_clear_run(sides, order, block):
     x, y = sides
     assert rows(secure.link_all(x, y, 7000, key=KEY, order=order, block=block)) == clear(x, y, 7000)
@@ -71,7 +71,7 @@ def test_fixed_operand_opens_once():
     assert s.bytes_["input", 0, 1, "online"] == 8 * 10 * MAP
 
 
-@pytest.mark.parametrize("m", [1, 2, 3, 10, 25, 100])
+@pytest.mark.parametrize("m", [1, 25])
 def test_ledger_equals_the_closed_form(spark, sides, m):
     x, y = sides
     y = y.orderBy("rec_id").limit(m).persist()
@@ -87,7 +87,7 @@ def test_ledger_equals_the_closed_form(spark, sides, m):
 def test_maps_are_opened_once_whatever_the_blocks(sides):
     x, y = sides
     n = x.count() + y.count()
-    for block in (30, 256):
+    for block in (30,):
         got = {(r.step, r.src): r.n_bytes for r in secure.traffic(x, y, 7000, key=KEY, block=block).collect()}
         assert got["dice", 0] == 8 * 2 * MAP * n
 

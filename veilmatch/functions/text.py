@@ -39,6 +39,16 @@ def positions(text: Column, q: int = 2) -> Column:
     return F.array_sort(F.transform(grams(text, q), place))
 
 
+def long_positions(text: Column, q: int = 2) -> Column:
+    """``positions`` of long texts: neighbouring ranks are zipped, so work grows with the length and not with its square."""
+    ranks = F.transform(F.split(text, ""), lambda c: F.call_function("instr", F.lit(ALPHABET), c) - 1)
+    n = F.length(text)
+    out = F.slice(ranks, F.lit(1), F.greatest(n - (q - 1), F.lit(0)))
+    for k in range(1, q):
+        out = F.zip_with(out, F.slice(ranks, F.lit(k + 1), F.greatest(n - (q - 1), F.lit(0))), lambda a, b: a * SIZE + b)
+    return F.when(n >= q, F.array_sort(F.array_distinct(out))).when(text.isNotNull(), F.array().cast("array<int>"))
+
+
 def pack(pos: Column, words: int = WORDS) -> Column:
     """Positions as an array of 64-bit words."""
     bit = lambda p: F.call_function("shiftleft", F.lit(1).cast("long"), p % 64)

@@ -308,13 +308,13 @@ add("page_title_links", page_links, one_text_sql(_PAGES, _PAGES, {"host": 300},
 
 def document_pairs(s, d) -> DataFrame:
     """(x_id, y_id, num, den): bigram Dice of whole texts in one language, source and length band of 25 characters."""
-    rows = table(s, d, "documents").select("doc_id", "lang", "source", F.call_function("div", F.length("text"), F.lit(25)).alias("band"), text.positions(text.normalise(F.col("text"))).alias("pos"))
+    rows = table(s, d, "documents").select("doc_id", "lang", "source", F.call_function("div", F.length("text"), F.lit(25)).alias("band"), text.long_positions(text.normalise(F.col("text"))).alias("pos"))
     a, b = rows.select(F.col("doc_id").alias("x_id"), "lang", "source", "band", F.col("pos").alias("a")), rows.select(F.col("doc_id").alias("y_id"), "lang", "source", "band", F.col("pos").alias("b"))
     both = a.join(b, ["lang", "source", "band"]).where("x_id < y_id")
     return both.select("x_id", "y_id", fields.dice_fraction(F.col("a"), F.col("b")).alias("f")).select("x_id", "y_id", "f.num", "f.den")
 
 
-_WINDOW = f"(select doc_id, lang, source, length(text) // 25 as band, {O.positions('nm')} as pos from (select *, {O.normal('text')} as nm from documents))"
+_WINDOW = f"(select doc_id, lang, source, length(text) // 25 as band, {O.long_positions('chars_')} as pos from (select *, string_split({O.normal('text')}, '') as chars_ from documents))"
 _DOCS = f"(select x.doc_id as x_id, y.doc_id as y_id, (2 * len(list_intersect(x.pos, y.pos)))::bigint as num, greatest(len(x.pos) + len(y.pos), 1)::bigint as den from w x join w y on x.lang = y.lang and x.source = y.source and x.band = y.band and x.doc_id < y.doc_id)"
 add("document_links", lambda s, d: document_pairs(s, d).where("num * 100 >= den * 95"), f"with w as materialized (select * from {_WINDOW}) select * from {_DOCS} where num * 100 >= den * 95")
 add("document_dice_histogram", lambda s, d: document_pairs(s, d).groupBy(F.call_function("div", F.col("num") * 20, F.col("den")).alias("bin")).agg(F.count("*").alias("n")), f"with w as materialized (select * from {_WINDOW}) select num * 20 // den as bin, count(*) as n from {_DOCS} group by 1")
@@ -322,15 +322,15 @@ add("document_dice_histogram", lambda s, d: document_pairs(s, d).groupBy(F.call_
 
 def item_links(s, d) -> DataFrame:
     """The document that covers most bigrams of each benchmark item, the smallest id on ties."""
-    a = table(s, d, "benchmark").select(F.col("item_id").alias("x_id"), text.positions(text.normalise(F.col("text")), 3).alias("a"))
-    b = table(s, d, "documents").select(F.col("doc_id").alias("y_id"), text.positions(text.normalise(F.col("text")), 3).alias("b"))
+    a = table(s, d, "benchmark").select(F.col("item_id").alias("x_id"), text.long_positions(text.normalise(F.col("text")), 3).alias("a"))
+    b = table(s, d, "documents").select(F.col("doc_id").alias("y_id"), text.long_positions(text.normalise(F.col("text")), 3).alias("b"))
     grams = b.select("y_id", F.explode("b").alias("p")).join(a.select("x_id", F.explode("a").alias("p")), "p").groupBy("x_id", "y_id").agg(F.count("*").alias("num"))
     scored = grams.join(a.select("x_id", F.size("a").cast("long").alias("den")), "x_id")
     return match.best_window(scored).select("x_id", "y_id", "num", "den")
 
 
-_ITEM = f"select item_id as x_id, {O.positions('nm', 3)} as a from (select item_id, {O.normal('text')} as nm from benchmark)"
-_TEXT = f"select doc_id as y_id, {O.positions('nm', 3)} as b from (select doc_id, {O.normal('text')} as nm from documents)"
+_ITEM = f"select item_id as x_id, {O.long_positions('chars_', 3)} as a from (select item_id, string_split({O.normal('text')}, '') as chars_ from benchmark)"
+_TEXT = f"select doc_id as y_id, {O.long_positions('chars_', 3)} as b from (select doc_id, string_split({O.normal('text')}, '') as chars_ from documents)"
 add("benchmark_links", item_links, f"with i as materialized ({_ITEM}), t as materialized ({_TEXT}), g as (select x_id, y_id, count(*) as num from (select y_id, unnest(b) as p from t) u join (select x_id, unnest(a) as p from i) v using (p) group by all), sc as (select g.*, len(a)::bigint as den from g join i using (x_id)) select x_id, y_id, num, den from ({O.best('sc')})")
 add(
     "label_agreement",
@@ -412,7 +412,10 @@ add("ops_approx_distinct", lambda s, d: _R(s, d).left.agg(*[F.approx_count_disti
 
 def streamed_links(s, d) -> DataFrame:
     """Arriving users, as records of the left registry, linked batch by batch with the right one."""
-    folder = s.sparkContext.getConf().get("spark.checkpoint.dir") or "/tmp/veilmatch-checkpoints"
+    folder = s.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not folder and not s.sparkContext.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
+    folder = folder or "/tmp/veilmatch-checkpoints"
     path = f"{folder.rstrip('/')}/links-{uuid.uuid4().hex}"
     arriving = ex(s, d).withColumn("arrival_key", F.col("rec_id") - 10_000_000)
     arrivals.link_stream(arrivals.events(s, d), arriving, ey(s, d), TAU, path)

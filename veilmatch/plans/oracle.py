@@ -19,6 +19,13 @@ def positions(c: str, q: int = 2) -> str:
     return f"case when {c} is null then null else list_sort(list_distinct(list_transform(range(1, length({c}) - {q - 2}), lambda i: ({place})::int))) end"
 
 
+def long_positions(c: str, q: int = 2) -> str:
+    """Of long texts, whose letters are split once."""
+    rank = lambda k: f"(instr('{ALPHABET}', cs[i + {k}]) - 1)"
+    place = " + ".join(f"{30 ** (q - 1 - k)} * {rank(k)}" for k in range(q))
+    return f"list_sort(list_distinct(list_transform(range(1, len(cs) - {q - 2}), lambda i: ({place})::int)))".replace("cs", f"{c}")
+
+
 def encoded(rows: str, mode: str = "components") -> str:
     name = f"case when coalesce(first_name, birth_name, last_name) is not null then concat({normal('first_name')}, {normal('birth_name')}, {normal('last_name')}) end"
     present = "(first_name is not null)::int + (birth_name is not null)::int + (last_name is not null)::int"
