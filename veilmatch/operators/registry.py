@@ -9,7 +9,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from veilmatch.sources.tables import table
+from veilmatch.sources.tables import stored, table
 
 ATTRIBUTES = ("first_name", "last_name", "birth_name", "city", "postcode", "birth_year", "birth_month", "birth_day")
 STRINGS = ATTRIBUTES[:4]
@@ -151,9 +151,9 @@ def duck_views() -> str:
 
 
 class Registry:
-    """The derived frames over one folder of tables; each is built when it is asked for, and kept."""
+    """The derived frames over one folder of tables; each is built and written when it is asked for."""
 
-    _held: dict[tuple[int, str], Registry] = {}
+    _held: dict[tuple[str, str], Registry] = {}
 
     def __init__(self, spark: SparkSession, folder: str):
         self.spark, self.folder = spark, folder
@@ -161,7 +161,7 @@ class Registry:
 
     @classmethod
     def of(cls, spark: SparkSession, folder: str) -> Registry:
-        key = (id(spark.sparkContext), folder)
+        key = (spark.sparkContext.applicationId, folder)
         if key not in cls._held:
             cls._held.clear()
             cls._held[key] = cls(spark, folder)
@@ -169,7 +169,7 @@ class Registry:
 
     def _sql(self, name: str, text: str, **frames: DataFrame) -> DataFrame:
         if name not in self._frames:
-            self._frames[name] = self.spark.sql(text, **frames).persist()
+            self._frames[name] = stored(self.spark.sql(text, **frames))
         return self._frames[name]
 
     @property

@@ -32,18 +32,19 @@ from pyspark.sql import functions as F  # noqa: E402
 
 from veilmatch.operators import match, quality, score  # noqa: E402
 from veilmatch.plans import oracle as O  # noqa: E402
+from veilmatch.sources.tables import stored  # noqa: E402
 
 _KEPT: dict[tuple, object] = {}
 TAU = 7000
 
 
 def kept(spark, d, name, build):
-    """A frame that several queries read, made once for a folder and held by Spark's cache."""
-    key = (id(spark.sparkContext), d, name)
+    """A frame that several queries read, made once for a folder and written."""
+    key = (spark.sparkContext.applicationId, d, name)
     if key not in _KEPT:
         for old in [k for k in _KEPT if k[:2] != key[:2]]:
             del _KEPT[old]
-        _KEPT[key] = build().persist()
+        _KEPT[key] = stored(build())
     return _KEPT[key]
 
 
