@@ -1,9 +1,10 @@
-"""Headline queries at $BENCH_SF_DIR on local[$BENCH_CPUS]; prints one JSON line, also when some of them fail."""
+"""Headline queries at $BENCH_SF_DIR on local[$BENCH_CPUS]; prints one JSON line, also when some of them fail or it is told to end."""
 
 from __future__ import annotations
 
 import json
 import os
+import signal
 import sys
 import time
 
@@ -39,6 +40,15 @@ def main() -> None:
     extra: dict[str, object] = {}
     start = time.perf_counter()
 
+    def report(code: int | None = None, *_) -> None:
+        if code is not None:
+            failed["rest"] = "ended from outside"
+        print(json.dumps({"metric": "link_all", "value": times.get("link_all"), "unit": "sec", "queries": times, "failed": failed, "sf": folder.rstrip("/").rpartition("sf")[2], **extra}), flush=True)
+        if code is not None:
+            os._exit(128 + code)
+
+    signal.signal(signal.SIGTERM, report)
+
     def timed(name, frame) -> None:
         if time.perf_counter() - start > ENOUGH:
             failed[name] = "not begun: out of time"
@@ -77,7 +87,7 @@ def main() -> None:
             for p in "ABC":
                 r = modelled[p, k]
                 extra[f"with_network_{p}_{k}"] = [round(r["seconds"] + times[f"private_link_one_{k}"], 2), r["published_seconds"]]
-    print(json.dumps({"metric": "link_all", "value": times.get("link_all"), "unit": "sec", "queries": times, "failed": failed, "sf": folder.rstrip("/").rpartition("sf")[2], **extra}))
+    report()
     spark.stop()
 
 
