@@ -92,3 +92,21 @@ def test_errors_move_with_the_threshold(spark):
     best = quality.best_threshold(found, truth).first()
     assert best.total <= min(r.total for r in rows)
     assert 0 <= quality.auc(found, truth).first().auc <= 1
+
+
+def test_equal_pair_without_last_name_gets_an_edit(spark):
+    """As DuckDB, whose concat skips a missing value: the edited name is one letter, not null."""
+    import duckdb
+
+    from veilmatch.operators import registry
+
+    columns = ", ".join(registry.ATTRIBUTES)
+    rows = ", ".join(f"({i}, 'anna', {name}, null, 'bonn', 10000, 1980, 1, 2)" for i, name in ((1, "null"), (2, "'xaver'"), (3, "'meier'"), (4, "null"), (5, "null"), (6, "null")))
+    people = f"select * from values {rows} as t(entity, {columns})"
+    con = duckdb.connect()
+    con.execute(f"create table p as select * from (values {rows}) as t(entity, {columns})")
+    want = {(r[0], r[1], r[4]) for r in con.execute(registry.pairs_sql(registry.DUCK, "p", "p", "p")).fetchall()}
+    frame = spark.sql(people)
+    frame = frame.withColumn("birth_name", F.col("birth_name").cast("string"))
+    got = {(r.entity, r.side, r.last_name) for r in spark.sql(registry.pairs_sql(registry.SPARK, "{p}", "{p}", "{p}"), p=frame).collect()}
+    assert got == want and any(r[1:] == (1, "x") for r in got)
