@@ -62,3 +62,32 @@ def test_empty_table_null_and_equal_ids(spark):
     rows = [(None, "q w e r t", 1, 2), (4, "q w e r t", 1, 2), (4, "q w e r t", 1, 2), (None, "alone", 1, 2)]
     got = similar_groups(spark.createDataFrame(rows, SCHEMA)).collect()
     assert sorted(str(r.component_id) for r in got) == ["4", "4", "4", "None"]
+
+
+def test_stage_drops_what_simhash_links(spark, sf):
+    """Copies whose words are the same shingles in another number: near by fingerprint, and far by five-word shingles."""
+    from veilmatch.llm.simhash import near_groups
+
+    rng = random.Random(5)
+    words = [f"u{i}" for i in range(60)]
+    tail = [f"v{i}" for i in range(20)]
+    texts = [" ".join(words * 40), " ".join(words * 40 + tail)]
+    docs = spark.createDataFrame([(1, texts[0], "en"), (2, texts[1], "en"), (3, " ".join(rng.sample(words, 60)), "en")], "doc_id long, text string, lang string")
+    assert {r.doc_id: r.component_id for r in near_groups(docs).collect()} == {1: 1, 2: 1, 3: 3}
+    assert {r.doc_id: r.component_id for r in similar_groups(docs).collect()} == {1: 1, 2: 2, 3: 3}
+    assert {r.doc_id for r in pipeline.drop_near_duplicates(spark, docs, sf).collect()} == {1, 3}
+
+
+def test_checks_in_rounds_leave_nothing_on_the_disk(spark, sf, monkeypatch):
+    import glob
+
+    from veilmatch.llm import shingles
+    from veilmatch.llm.common import shared_folder
+
+    before = set(glob.glob(f"{shared_folder(spark)}/written-*"))
+    monkeypatch.setattr(shingles, "CHECKS", 20)
+    texts = copies()
+    got = similar_groups(spark.createDataFrame([(i, t, 1, 2) for i, t in enumerate(texts)], SCHEMA))
+    want = brute_groups({i: brute_set(t) for i, t in enumerate(texts)})
+    assert {r.doc_id: r.component_id for r in got.collect()} == want
+    assert set(glob.glob(f"{shared_folder(spark)}/written-*")) == before
