@@ -1,3 +1,5 @@
+from fractions import Fraction
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -110,3 +112,20 @@ def test_equal_pair_without_last_name_gets_an_edit(spark):
     frame = frame.withColumn("birth_name", F.col("birth_name").cast("string"))
     got = {(r.entity, r.side, r.last_name) for r in spark.sql(registry.pairs_sql(registry.SPARK, "{p}", "{p}", "{p}"), p=frame).collect()}
     assert got == want and any(r[1:] == (1, "x") for r in got)
+
+
+def test_blocks_give_the_best_of_all_pairs(spark, people):
+    """Against all scores, in one block and in three, with ties, missing values and pairs that cannot be compared."""
+    from veilmatch.operators import blocks
+
+    x, y = people
+    rows = [r.asDict() for r in match.scored(match.pairs(x, y)).collect()]
+    for k in (1, 2):
+        want = set()
+        for i in {r["x_id"] for r in rows}:
+            own = sorted((r for r in rows if r["x_id"] == i), key=lambda r: (-Fraction(r["num"], r["den"]), r["y_id"]))
+            want |= {tuple(r[c] for c in ("x_id", "y_id", "num", "den")) for r in own[:k]}
+        for parts in (1, 3):
+            got = match.best_window(blocks.top(x, y, k, blocks=parts), k).select("x_id", "y_id", "num", "den").collect()
+            assert {tuple(r) for r in got} == want and len(got) == len(want)
+    assert blocks.top(x, y.where("false")).count() == 0 and blocks.top(x.where("false"), y).count() == 0
