@@ -53,3 +53,10 @@ def test_pages_as_input(spark, sf):
     got = identify(pages, "page_id", "html", "markup", "markup", "url").where("accepted")
     assert got.where("predicted = markup").count() >= 0.9 * pages.count()
     assert [r[0] for r in spark.range(1).select(suffix_of(host_of(F.lit("https://u@m.x.example.NET:80/en?q=1")))).collect()] == ["net"]
+
+
+def test_a_language_of_one_document_is_not_confirmed_by_it(spark):
+    rows = [(i, t, l, "a") for i, (t, l) in enumerate([("the cat and the dog were here", "en")] * 20 + [("der hund und die katze", "de")] * 20)]
+    rows += [(90, "qzxj vkqx wxzq jqkv zzqx " * 5, "zz", "a"), (91, "kissa ja koira olivat siella " * 5, "fi", "a"), (92, "kissa ja koira ovat siella " * 5, "fi", "a")]
+    got = {r.doc_id: (r.predicted, r.accepted) for r in identify(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")).where("doc_id >= 90").collect()}
+    assert got[90] == ("zz", False) and got[91] == got[92] == ("fi", True)
