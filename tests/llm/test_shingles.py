@@ -1,6 +1,7 @@
 import random
 
 import corpus_pipeline as pipeline
+import pyarrow as pa
 from veilmatch.llm.shingles import similar_groups
 
 SCHEMA = "doc_id long, text string, component_id int, n int"
@@ -91,3 +92,13 @@ def test_checks_in_rounds_leave_nothing_on_the_disk(spark, sf, monkeypatch):
     want = brute_groups({i: brute_set(t) for i, t in enumerate(texts)})
     assert {r.doc_id: r.component_id for r in got.collect()} == want
     assert set(glob.glob(f"{shared_folder(spark)}/written-*")) == before
+
+
+def test_whole_texts_go_in_short_batches(spark):
+    from veilmatch.llm.common import BATCH, short_batches
+
+    before, rows = spark.conf.get(BATCH), spark.range(2500).repartition(1)
+    sizes = lambda: [r.n for r in rows.mapInArrow(lambda batches: (pa.RecordBatch.from_arrays([pa.array([b.num_rows])], names=["n"]) for b in batches), "n long").collect()]
+    with short_batches(spark):
+        assert sizes() == [1000, 1000, 500]
+    assert spark.conf.get(BATCH) == before and sizes() == [2500]
