@@ -21,3 +21,24 @@ def test_stages_take_effect_and_keep_columns(spark, sf, tmp_path):
     assert set(ids["decontamination"]) <= set(ids["near_duplicates"]) and ids["secrets"] and set(ids["secrets"]) == set(ids["decontamination"])
     assert not any(spans_of(r.text)[0] for r in seen["secrets"])
     assert {r.doc_id for r in seen["packing"]} == set(ids["secrets"])
+
+
+def test_decontamination_sends_short_batches_and_heaps_are_given_back(spark, sf, monkeypatch):
+    from veilmatch.llm import common
+
+    docs, seen = spark.read.parquet(f"{sf}/documents.parquet").limit(20), []
+
+    def noted(docs, benchmark):
+        seen.append(int(spark.conf.get(common.BATCH)))
+        return docs.select("doc_id").limit(3)
+
+    monkeypatch.setattr(pipeline.contamination, "contaminated", noted)
+    before = spark.conf.get(common.BATCH)
+    assert pipeline.drop_contaminated(spark, docs, sf).count() == 17
+    assert seen == [1000] and spark.conf.get(common.BATCH) == before
+
+    beans = spark.sparkContext._jvm.java.lang.management.ManagementFactory.getGarbageCollectorMXBeans
+    count = lambda: sum(b.getCollectionCount() for b in beans())
+    runs = count()
+    common.heaps_back(spark)
+    assert count() > runs

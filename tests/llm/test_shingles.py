@@ -2,7 +2,8 @@ import random
 
 import corpus_pipeline as pipeline
 import pyarrow as pa
-from veilmatch.llm.shingles import similar_groups
+import numpy as np
+from veilmatch.llm.shingles import _pieces, similar_groups
 
 SCHEMA = "doc_id long, text string, component_id int, n int"
 
@@ -102,3 +103,12 @@ def test_whole_texts_go_in_short_batches(spark):
     with short_batches(spark):
         assert sizes() == [1000, 1000, 500]
     assert spark.conf.get(BATCH) == before and sizes() == [2500]
+
+
+def test_members_of_large_keys_are_looked_at_in_bounded_pieces():
+    wide = np.array([1, 1, 50, 3, 3, 3, 3, 2000, 1, 1, 999, 4])
+    got = _pieces(np.arange(12), wide, 10)
+    assert np.concatenate(got).tolist() == list(range(12)) and all(len(p) for p in got)
+    assert all(wide[p].sum() - wide[p].max() <= 10 for p in got)
+    assert sum(len(p) for p in _pieces(np.arange(2048), np.full(2048, 10_000))) == 2048 and max(len(p) for p in _pieces(np.arange(2048), np.full(2048, 10_000))) < 30
+    assert _pieces(np.arange(0), np.arange(0)) == []
