@@ -59,3 +59,12 @@ def test_accents_of_all_texts(spark, sf, tmp_path):
     assert set(got) == {1, 2, 3} and got[2] != got[3]
     want = spark.range(1).select(text.normalise(F.lit(long + "é"))).first()[0]
     assert got[1] == hashlib.md5(want.encode()).hexdigest()
+
+
+def test_dense_maps_of_parts_are_dealt_over_the_cores(spark, tmp_path):
+    names = [(i, n, "b", 1) for i, n in enumerate(["anna anna", "a", "", None, "O'Brien", *["x y z"] * 40])]
+    spark.createDataFrame(names, "p_partkey long, p_name string, p_brand string, p_size int").coalesce(1).write.parquet(f"{tmp_path}/part.parquet")
+    got = catalog.QUERIES["bigram_dense"](spark, str(tmp_path))
+    assert got.rdd.getNumPartitions() >= spark.sparkContext.defaultParallelism
+    ones = {r.p_partkey: r.ones for r in got.collect()}
+    assert len(ones) == 45 and [ones[i] for i in range(6)] == [5, 0, 0, None, 6, 4]
