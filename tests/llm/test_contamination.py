@@ -189,3 +189,31 @@ def test_a_fit_on_fewer_documents_finds_what_one_on_all_does(spark, sf, monkeypa
     monkeypatch.setattr(contamination, "FIT_DOCS", len(rows) // 5)
     some = {(r.doc_id, r.item_id) for r in contaminated(docs, asked).collect()}
     assert len(every) > len(items) / 2 and len(every & some) >= 0.9 * len(every)
+
+
+def test_the_decomposition_sees_every_document_and_item(spark, monkeypatch):
+    """The sums that it is fitted on are those of all passages, whatever FIT_DOCS is; before, of a sample of FIT_DOCS documents and items."""
+    from veilmatch.llm import contamination
+
+    random.seed(4)
+    texts = [" ".join(random.choices([f"w{i}" for i in range(60)], k=n)) for n in (1, 5, 16, 17, 31, 32, 33, 40, 64, 100, 300)] + ["same " * 50, None, ""]
+    idf = np.linspace(1.0, 2.0, contamination.BINS)
+    want = {}
+    for t in texts:
+        bins = contamination.Words.of([t]).bins
+        for first in range(0, max(1, len(bins) - contamination.HALF) if len(bins) else 0, contamination.HALF):
+            own = bins[first : first + 2 * contamination.HALF]
+            for u in own:
+                for v in own:
+                    want[u, v] = want.get((u, v), 0.0) + 1 / (idf[own] ** 2).sum()
+    docs = spark.createDataFrame([(t,) for t in texts], "text string").repartition(3)
+    for docs_a_task, words in ((1, 1 << 27), (1000, 100)):
+        monkeypatch.setattr(contamination, "FIT_DOCS", docs_a_task)
+        monkeypatch.setattr(contamination, "FIT_WORDS", words)
+        got = np.zeros((contamination.BINS, contamination.BINS))
+        for r in contamination.shared_passages(docs, idf, len(texts)).collect():
+            part = np.frombuffer(r["part"], np.float32)
+            got[r["bin"], r["bin"] :] += part
+            got[r["bin"] :, r["bin"]] += part
+        assert {(int(u), int(v)) for u, v in zip(*np.nonzero(got))} == {(int(u), int(v)) for u, v in want}
+        assert all(abs(got[u, v] - n) < 1e-4 * n for (u, v), n in want.items())
